@@ -24,7 +24,9 @@ from pyspark.sql import functions as F
 from .storage import materialise, shared_dir
 
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-_PROVIDER = "spark.sql.streaming.stateStore.providerClass"
+#: Settings of the state store while the stream runs.  Without preallocation a partition of
+#: the state takes the room of its keys, not 4 MB of manifest.
+_STORE = {"spark.sql.streaming.stateStore.providerClass": ROCKSDB, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false"}
 
 
 def normalised(text):
@@ -59,8 +61,9 @@ def drain(spark: SparkSession, inbox: str, schema, folder: str, files_per_batch:
     batches meet everything earlier ones left.  Each micro-batch writes the keys it changed
     under its own number, so a repeated batch overwrites itself.
     """
-    before = spark.conf.get(_PROVIDER, None)
-    spark.conf.set(_PROVIDER, ROCKSDB)
+    before = {k: spark.conf.get(k, None) for k in _STORE}
+    for k, v in _STORE.items():
+        spark.conf.set(k, v)
     try:
         stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(inbox)
 
@@ -70,10 +73,11 @@ def drain(spark: SparkSession, inbox: str, schema, folder: str, files_per_batch:
         query = keep_state(stream).writeStream.outputMode("update").option("checkpointLocation", f"{folder}/state").foreachBatch(changed).trigger(availableNow=True).start()
         query.awaitTermination()
     finally:
-        if before is None:
-            spark.conf.unset(_PROVIDER)
-        else:
-            spark.conf.set(_PROVIDER, before)
+        for k, v in before.items():
+            if v is None:
+                spark.conf.unset(k)
+            else:
+                spark.conf.set(k, v)
     kept = keep_state(spark.read.schema(schema).parquet(inbox)).schema
     changes = spark.read.schema(kept.add("batch", "long")).option("recursiveFileLookup", True).parquet(f"{folder}/changes")
     return changes.groupBy("key").agg(F.max(F.struct("batch", "keep", "group_size")).alias("last")).select("key", "last.keep", "last.group_size")
