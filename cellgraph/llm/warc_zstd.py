@@ -228,7 +228,8 @@ def read_bundles(spark: SparkSession, index: DataFrame, folder: str) -> DataFram
                         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=[c.split()[0] for c in READ_SCHEMA.split(", ")])
 
     names = index.select("bundle").distinct()
-    return names.mapInArrow(read, READ_SCHEMA)
+    # one archive a task: left alone, a few names would be gathered into a single task
+    return names.repartition(max(1, min(names.count(), 20_000)), "bundle").mapInArrow(read, READ_SCHEMA)
 
 
 def fetch(folder: str, bundle: str, frame: int, frame_offset: int, record_bytes: int) -> bytes:
