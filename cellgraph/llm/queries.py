@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import chat_pref, decontam, exact_stream, langid, packing, pu_toxicity, warc_zstd
+from . import chat_pref, decontam, ef_ngram, exact_stream, langid, packing, pu_toxicity, warc_zstd
 
 QUERIES = {
     "op1_preference_format": chat_pref.op1_preference_format,
     "op3_aho_decontamination": decontam.op3_aho_decontamination,
     "op4_exact_stream_dedup": exact_stream.op4_exact_stream_dedup,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
+    "op6_elias_fano_lm": ef_ngram.op6_elias_fano_lm,
     "op8_language_centroids": langid.op8_language_centroids,
     "op9_warc_seekable": warc_zstd.op9_warc_seekable,
     "op10_nnpu_toxicity": pu_toxicity.op10_nnpu_toxicity,
