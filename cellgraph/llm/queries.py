@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat_pref, decontam, ef_ngram, exact_stream, langid, packing, pu_toxicity, warc_zstd
+from . import chat_pref, decontam, ef_ngram, exact_stream, jaccard_join, langid, packing, pu_toxicity, warc_zstd
 
 QUERIES = {
     "op1_preference_format": chat_pref.op1_preference_format,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_exact_stream_dedup": exact_stream.op4_exact_stream_dedup,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
     "op6_elias_fano_lm": ef_ngram.op6_elias_fano_lm,
+    "op7_metric_jaccard_join": jaccard_join.op7_metric_jaccard_join,
     "op8_language_centroids": langid.op8_language_centroids,
     "op9_warc_seekable": warc_zstd.op9_warc_seekable,
     "op10_nnpu_toxicity": pu_toxicity.op10_nnpu_toxicity,
@@ -19,5 +20,6 @@ ORACLES = {
     "op1_preference_format": chat_pref.ORACLE_SQL,
     "op3_aho_decontamination": decontam.ORACLE_SQL,
     "op4_exact_stream_dedup": exact_stream.ORACLE_SQL,
+    "op7_metric_jaccard_join": jaccard_join.ORACLE_SQL,
     "op9_warc_seekable": warc_zstd.ORACLE_SQL,
 }
