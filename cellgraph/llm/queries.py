@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import chat_pref, decontam, ef_ngram, exact_stream, jaccard_join, langid, packing, pu_toxicity, warc_zstd
+from . import chat_pref, decontam, ef_ngram, exact_stream, jaccard_join, langid, packing, pu_toxicity, suffix_levels, warc_zstd
 
 QUERIES = {
     "op1_preference_format": chat_pref.op1_preference_format,
+    "op2_suffix_level_dedup": suffix_levels.op2_suffix_level_dedup,
     "op3_aho_decontamination": decontam.op3_aho_decontamination,
     "op4_exact_stream_dedup": exact_stream.op4_exact_stream_dedup,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
