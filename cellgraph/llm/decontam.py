@@ -17,9 +17,11 @@ repeated results, and only the columns named are read.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import ahocorasick
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -155,6 +157,26 @@ def scan_documents(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, ma
     return _scan_with_automaton(docs, [(r["item_id"], r["text"]) for r in items.collect()], width)
 
 
+def clean_documents(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, max_automaton_bytes: int = 16 << 20) -> DataFrame:
+    """The rows of ``docs`` (text) without any hit, with all their columns."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))
+    size = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()["b"]
+    if size > max_automaton_bytes:
+        held = materialise(docs.withColumn("_held", F.monotonically_increasing_id()), shared_dir(docs.sparkSession, "decontam"))
+        hit = _scan_with_join(held.select(F.col("_held").alias("doc_id"), "text"), items, width).filter("n_hit > 0").select(F.col("doc_id").alias("_held"))
+        return held.join(hit, "_held", "left_anti").drop("_held")
+    patterns = patterns_of([(r["item_id"], r["text"]) for r in items.collect()], width)
+    shared = docs.sparkSession.sparkContext.broadcast(patterns)
+
+    @F.pandas_udf("boolean")
+    def clean(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        machine = build_automaton(shared.value)
+        for texts in batches:
+            yield pd.Series([scan_text(machine, t.encode())[1] == 0 for t in texts], dtype=bool)
+
+    return docs.filter(clean(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+
+
 def op3_aho_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = scan_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
     names = F.array_join(F.array_sort(F.col("item_ids").cast("array<string>")), ",")

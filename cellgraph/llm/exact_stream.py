@@ -122,6 +122,22 @@ def dedup_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return result(sure, groups, "key").unionByName(result(doubt, doubt.groupBy("sha").agg(F.max(F.struct("n_points", (-F.col("doc_id")).alias("neg_id"), "rid", "file", "row")).alias("keep"), F.count("*").alias("group_size")), "sha"))
 
 
+def keep_firsts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of ``docs`` that stay, with all their columns.
+
+    Rows go by (id, digest); of rows that agree in both, one stays.
+    """
+    found = dedup_exact(docs, id_col, text_col, **options)
+    gone = materialise(found.filter(~F.col("kept")).select(F.col("doc_id").alias("_gone_id"), F.col("text_sha256").alias("_gone_sha"), F.col("keep_id").eqNullSafe(F.col("doc_id")).alias("_twin")), shared_dir(docs.sparkSession, "gone"))
+    rows = docs.withColumn("_own_sha", F.sha2(normalised(F.col(f"`{text_col}`").cast("string")).cast("binary"), 256))
+    same = (F.col(f"`{id_col}`").cast("long").eqNullSafe(F.col("_gone_id"))) & (F.col("_own_sha") == F.col("_gone_sha"))
+    stays = rows.join(gone, same, "left_anti")
+    twins = gone.filter("_twin")
+    if not twins.isEmpty():
+        stays = stays.unionByName(rows.join(twins, same, "left_semi").dropDuplicates([id_col, "_own_sha"]))
+    return stays.drop("_own_sha")
+
+
 def op4_exact_stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_exact(spark.read.parquet(f"{sf_dir}/documents.parquet")).drop("keep_file", "keep_row")
 
