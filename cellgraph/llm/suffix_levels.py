@@ -21,13 +21,14 @@ smaller document id, or in the same document at a smaller position).
 Hashes only name and group; windows count as equal when their bytes are.  Null texts are
 empty; texts under ``LENGTH`` bytes lose nothing.  Rows that repeat id and text are one
 document and get the same result; of different texts under one id the order is that of their
-digests.  A null id sorts last.
+hashes.  A null id sorts last.
 """
 
 from __future__ import annotations
 
 import gc
 import hashlib
+import time
 
 import numpy as np
 import pandas as pd
@@ -36,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import scan
-from .storage import materialise, shared_dir
+from .storage import materialise, remove, shared_dir
 
 LENGTH = 100
 GRAM = 20
@@ -246,23 +247,35 @@ def window_runs(data: np.ndarray, starts: np.ndarray, length: int = LENGTH, gram
 
 
 def _runs(rows: DataFrame, length: int, gram: int) -> DataFrame:
-    """(id, n_bytes, digest, dg, names, begins, counts, several) of rows (id, text); digests are of whole texts."""
+    """(id, dg, n_bytes, digest, names, loops) of rows (id, dg, text): the names of a document,
+    once each, and those that occur in it more than once; ``digest`` is of the whole text."""
 
     def find(batches):
         for batch in batches:
-            for lo, hi, data, starts in scan.blocks(batch.column(1)):
-                doc, begin, count, name, several = window_runs(data, starts, length, gram)
-                offsets = pa.array(scan.by_document(np.bincount(doc, minlength=hi - lo)).astype(np.int32))
-                digests = [hashlib.blake2b(data[a:b].tobytes(), digest_size=16).digest() for a, b in zip(starts[:-1], starts[1:], strict=True)]
+            for lo, hi, data, starts in scan.blocks(batch.column(2)):
+                doc, _, _, name, several = window_runs(data, starts, length, gram)
+                edges = scan.by_document(np.bincount(doc, minlength=hi - lo))
+                digests, names, loops = [], [], []
+                for k in range(hi - lo):
+                    digests.append(hashlib.blake2b(data[starts[k] : starts[k + 1]].tobytes(), digest_size=16).digest())
+                    own = name[edges[k] : edges[k + 1]]
+                    once, count = np.unique(own, return_counts=True)
+                    again = count > 1
+                    if several[edges[k] : edges[k + 1]].any():
+                        again |= np.isin(once, own[several[edges[k] : edges[k + 1]]])
+                    names.append(once)
+                    loops.append(once[again])
                 yield pa.RecordBatch.from_arrays(
-                    [
-                        batch.column(0).slice(lo, hi - lo), pa.array(np.diff(starts), pa.int64()), pa.array(digests, pa.binary()), pa.array([int.from_bytes(x[:8], "big", signed=True) for x in digests], pa.int64()),
-                        pa.ListArray.from_arrays(offsets, pa.array(name)), pa.ListArray.from_arrays(offsets, pa.array(begin.astype(np.int32))), pa.ListArray.from_arrays(offsets, pa.array(count.astype(np.int32))), pa.ListArray.from_arrays(offsets, pa.array(several)),
-                    ],
-                    names=["id", "n_bytes", "digest", "dg", "names", "begins", "counts", "several"],
+                    [batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), pa.array(np.diff(starts), pa.int64()), pa.array(digests, pa.binary()), *(_lists(x) for x in (names, loops))],
+                    names=["id", "dg", "n_bytes", "digest", "names", "loops"],
                 )
 
-    return rows.mapInArrow(find, "id long, n_bytes long, digest binary, dg long, names array<long>, begins array<int>, counts array<int>, several array<boolean>")
+    return rows.select("id", "dg", "text").mapInArrow(find, "id long, dg long, n_bytes long, digest binary, names array<long>, loops array<long>")
+
+
+def _lists(parts: list[np.ndarray]) -> pa.Array:
+    offsets = scan.by_document(np.array([len(x) for x in parts], np.int64)).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(parts) if parts else np.zeros(0, np.int64), pa.int64()))
 
 
 # ---------------------------------------------------------------------------- the shards
@@ -270,9 +283,9 @@ def _runs(rows: DataFrame, length: int, gram: int) -> DataFrame:
 _SHIP = "shard int, ids binary, dgs binary, begins binary, sizes binary, bytes binary, cut_ids binary, cut_dgs binary, cut_begins binary, cut_ends binary"
 
 
-def _ship_runs(rows: DataFrame, shards: int, length: int) -> DataFrame:
-    """Bytes of candidate runs, one row for each shard and task; runs with equal bytes are
-    folded to the earliest, and the others travel as ready-made cuts."""
+def _ship_runs(rows: DataFrame, shards: int, length: int, gram: int) -> DataFrame:
+    """Bytes of candidate runs of rows (id, dg, text, names), one row for each shard and task;
+    runs with equal bytes are folded to the earliest, and the others travel as ready-made cuts."""
 
     def ship(batches):
         held: dict[bytes, tuple] = {}
@@ -296,24 +309,29 @@ def _ship_runs(rows: DataFrame, shards: int, length: int) -> DataFrame:
 
         for batch in batches:
             ids, dgs = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            data, edges = scan.string_parts(batch.column(2))
-            begins, counts, keys = (batch.column(k) for k in (3, 4, 5))
-            for k in range(len(ids)):
-                raw = data[edges[k] : edges[k + 1]].tobytes()
-                own = (scan.mix(np.array(keys[k].as_py(), np.int64).view(np.uint64)) % np.uint64(shards)).tolist()
-                for b, c, shard in zip(begins[k].as_py(), counts[k].as_py(), own, strict=True):
-                    part = raw[b : b + c + length - 1]
-                    here = ids[k], dgs[k], b
-                    there = held.get(part)
-                    if there is None:
-                        held[part] = here
-                        names[part] = shard
-                        size += len(part)
-                        continue
-                    if here < there:
-                        held[part] = here
-                        here = there
-                    cuts.append((here[0], here[1], here[2], here[2] + len(part)))
+            wanted, edges = batch.column(3).flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(batch.column(3).value_lengths().to_numpy(zero_copy_only=False))])
+            for lo, hi, data, starts in scan.blocks(batch.column(2)):
+                doc, begin, count, name, _ = window_runs(data, starts, length, gram)
+                bounds = scan.by_document(np.bincount(doc, minlength=hi - lo))
+                shard = (scan.mix(name.view(np.uint64)) % np.uint64(shards)).astype(np.int64)
+                text = data.tobytes()
+                for k in range(lo, hi):
+                    mine = slice(bounds[k - lo], bounds[k - lo + 1])
+                    chosen = np.isin(name[mine], wanted[edges[k] : edges[k + 1]])
+                    base = int(starts[k - lo])
+                    for b, c, own in zip(begin[mine][chosen].tolist(), count[mine][chosen].tolist(), shard[mine][chosen].tolist(), strict=True):
+                        part = text[base + b : base + b + c + length - 1]
+                        here = ids[k], dgs[k], b
+                        there = held.get(part)
+                        if there is None:
+                            held[part] = here
+                            names[part] = own
+                            size += len(part)
+                            continue
+                        if here < there:
+                            held[part] = here
+                            here = there
+                        cuts.append((here[0], here[1], here[2], here[2] + len(part)))
                 if size > HELD_BYTES:
                     yield from flush()
                     held.clear()
@@ -323,7 +341,7 @@ def _ship_runs(rows: DataFrame, shards: int, length: int) -> DataFrame:
         if held or cuts:
             yield from flush()
 
-    return rows.select("id", "dg", "text", "begins", "counts", "names").mapInArrow(ship, _SHIP)
+    return rows.select("id", "dg", "text", "names").mapInArrow(ship, _SHIP)
 
 
 def _cut_shard(frame: pd.DataFrame, length: int, batches: int) -> tuple[np.ndarray, ...]:
@@ -369,46 +387,49 @@ def _cut_shard(frame: pd.DataFrame, length: int, batches: int) -> tuple[np.ndarr
 
 def _free(spark: SparkSession) -> None:
     """Let Spark drop shuffle files of plans that nothing refers to any more."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
+
+
+def _shared_names(runs: DataFrame) -> DataFrame:
+    """(id, dg, names): of each different text, the names that can hold repeated windows."""
+    firsts = runs.groupBy("digest").agg(F.min(F.struct("id", "dg", "seq", "names", "loops")).alias("r")).select("r.*")
+    flat = firsts.select("seq", F.explode("names").alias("name"))
+    shared = flat.groupBy("name").agg(F.count("*").alias("n")).filter("n > 1").select("name")
+    met = flat.join(shared, "name").groupBy("seq").agg(F.collect_list("name").alias("met"))
+    looped = runs.select("id", "dg", "seq", "digest", "loops")
+    least = looped.groupBy("digest").agg(F.min(F.struct("id", "dg", "seq", "loops")).alias("r")).select("r.*")
+    none = F.array().cast("array<long>")
+    return least.join(met, "seq", "left").select("id", "dg", F.array_union(F.coalesce("met", none), F.coalesce("loops", none)).alias("names")).filter(F.size("names") > 0)
 
 
 def repeated_ranges(rows: DataFrame, folder: str, length: int = LENGTH, gram: int = GRAM, shard_bytes: int = SHARD_BYTES, batches: int = BATCHES) -> tuple[DataFrame, DataFrame]:
-    """From rows (id, text): (id, dg, ranges) of documents that lose some bytes, and
-    (id, dg, n_bytes, copy) of every row, ``copy`` for texts an earlier document has whole."""
+    """From rows (id, dg, text): (id, dg, ranges) of documents that lose some bytes, and
+    (id, dg, copy) of every text, ``copy`` for those an earlier document has whole."""
     spark = rows.sparkSession
-    runs = materialise(_runs(rows, length, gram), f"{folder}/runs")
-    firsts = runs.groupBy("digest").agg(F.min(F.struct("id", "dg", "names", "begins", "counts", "several")).alias("r")).select("r.*")
-    flat = firsts.select("id", "dg", F.explode(F.arrays_zip("names", "begins", "counts", "several")).alias("x")).select("id", "dg", "x.*")
-    shared = flat.groupBy("names").agg(F.count("*").alias("n"), F.bool_or("several").alias("s")).filter("n > 1 OR s").select("names")
-    wanted = flat.join(shared, "names").groupBy("id", "dg").agg(F.collect_list(F.struct("begins", "counts", "names")).alias("x"), F.sum(F.col("counts") + length - 1).alias("b"))
-    wanted = materialise(wanted.select("id", "dg", "b", "x.begins", "x.counts", "x.names"), f"{folder}/wanted")
+    runs = materialise(_runs(rows, length, gram).withColumn("seq", F.monotonically_increasing_id()), f"{folder}/runs")
+    wanted = materialise(_shared_names(runs), f"{folder}/wanted")
+    least = runs.groupBy("digest").agg(F.min(F.struct("id", "dg")).alias("least"))
+    copies = runs.filter(F.col("n_bytes") >= length).select("id", "dg", "digest").distinct().join(least, "digest").filter((F.col("id") != F.col("least.id")) | (F.col("dg") != F.col("least.dg")))
+    copies = materialise(copies.select("id", "dg"), f"{folder}/copies")
+    remove(spark, f"{folder}/runs")
     _free(spark)
-    size = wanted.agg(F.coalesce(F.sum("b"), F.lit(0)).alias("b")).first()["b"]
+    size = wanted.agg(F.coalesce(F.sum(F.size("names")), F.lit(0)).alias("n")).first()["n"] * (length + (length - gram) // 2)
     shards = max(1, -(-int(size) // shard_bytes))
-    texts = rows.withColumn("dg", _text_key("text")).join(wanted, ["id", "dg"])
 
     def cut(key, frame):
         ids, dgs, begins, ends = _cut_shard(frame, length, batches)
         more = [np.concatenate([np.frombuffer(x, np.int64) for x in frame[c]]) for c in ("cut_ids", "cut_dgs", "cut_begins", "cut_ends")]
         return pd.DataFrame({k: np.concatenate([a, b]) for k, a, b in zip(("id", "dg", "begin", "end"), (ids, dgs, begins, ends), more, strict=True)})
 
-    cuts = _ship_runs(texts, shards, length).groupBy("shard").applyInPandas(cut, "id long, dg long, begin long, end long")
+    # rows that repeat id and text count once; the join has already laid them side by side
+    texts = rows.join(wanted, ["id", "dg"]).dropDuplicates(["id", "dg"])
+    cuts = _ship_runs(texts, shards, length, gram).groupBy("shard").applyInPandas(cut, "id long, dg long, begin long, end long")
     ranges = materialise(cuts.groupBy("id", "dg").agg(F.sort_array(F.collect_list(F.struct("begin", "end"))).alias("ranges")), f"{folder}/ranges")
     _free(spark)
-    first_of = runs.groupBy("digest").agg(F.min("id").alias("first"))
-    known = runs.select("id", "dg", "n_bytes", "digest").join(first_of, "digest").select("id", "dg", "n_bytes", ((F.col("id") != F.col("first")) & (F.col("n_bytes") >= length)).alias("copy"))
-    return ranges, known.distinct()
-
-
-def _text_key(column: str):
-    """The first eight bytes of the text's digest, as the scan computes them."""
-
-    @F.pandas_udf("long")
-    def key(texts: pd.Series) -> pd.Series:
-        return pd.Series([int.from_bytes(hashlib.blake2b(t.encode(), digest_size=16).digest()[:8], "big", signed=True) for t in texts], dtype="int64")
-
-    return key(F.col(column))
+    return ranges, copies
 
 
 def _cut_texts(rows: DataFrame) -> DataFrame:
@@ -446,11 +467,10 @@ def _cut_texts(rows: DataFrame) -> DataFrame:
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """One row for each row of ``docs``: what was removed, and the digest of what is left."""
     folder = shared_dir(docs.sparkSession, "suffix")
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    ranges, known = repeated_ranges(rows, folder, **options)
-    facts = materialise(known.join(ranges, ["id", "dg"], "left").filter("copy OR ranges IS NOT NULL").select("id", "dg", "copy", "ranges"), f"{folder}/facts")
-    keyed = rows.withColumn("dg", _text_key("text"))
-    joined = keyed.join(facts, ["id", "dg"], "left").select(F.when(F.col("id") != _NULL_ID, F.col("id")).alias("doc_id"), "text", F.coalesce("copy", F.lit(False)).alias("copy"), "ranges")
+    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).withColumn("dg", F.xxhash64("text"))
+    ranges, copies = repeated_ranges(rows, folder, **options)
+    facts = materialise(ranges.join(copies.withColumn("copy", F.lit(True)), ["id", "dg"], "full").select("id", "dg", F.coalesce("copy", F.lit(False)).alias("copy"), "ranges"), f"{folder}/facts")
+    joined = rows.join(facts, ["id", "dg"], "left").select(F.when(F.col("id") != _NULL_ID, F.col("id")).alias("doc_id"), "text", F.coalesce("copy", F.lit(False)).alias("copy"), "ranges")
     return _cut_texts(joined)
 
 
