@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from . import graph_queries  # noqa: F401  (registers its queries)
+from .registry import ORACLES, QUERIES
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict:
-    return {}
+    return dict(ORACLES)
