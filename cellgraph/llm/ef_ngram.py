@@ -47,8 +47,8 @@ END = np.uint64(scan.hash_bytes(b" end"))
 START = np.uint64(scan.hash_bytes(b" start"))
 MIN_COUNT = 2
 DISCOUNT = 0.75
-SHARD_BYTES = 64 << 20
-FLUSH_TOKENS = 3_000_000
+SHARD_BYTES = 24 << 20
+FLUSH_TOKENS = 1_500_000
 
 _SELECT8 = np.zeros((256, 8), np.uint8)
 for _b in range(256):
@@ -294,6 +294,8 @@ def _count_blocks(texts: DataFrame, shards: int, level: int, spread: int) -> Dat
         def flush():
             tokens = np.concatenate(held)
             yield _block_batch(list(_word_blocks(tokens, shards) if level == 1 else _pair_blocks(tokens, np.concatenate(contexts), shards, spread)))
+            del tokens
+            scan.release()
 
         for batch in batches:
             for _, _, data, starts in scan.blocks(batch.column(0)):
@@ -416,6 +418,8 @@ def build_model(train: DataFrame, folder: str | None = None, min_count: int = MI
         name = _write_level2(folder, int(key[0]), contexts, sizes, (pair & np.uint64(0xFFFFFFFF)).astype(np.uint32), prob)
         mass = np.bincount(at, weights=CODEBOOK[prob], minlength=len(used))
         own = shard_of(contexts, None, shards)
+        del context, rank, code, pair, count
+        scan.release()
         out = [(s, name, contexts[own == s].tobytes(), mass[own == s].tobytes()) for s in np.unique(own)] or [(-1, name, b"", b"")]
         return pd.DataFrame(out, columns=["owner", "name", "contexts", "mass"]).assign(shard=int(key[0]))[["shard", "owner", "name", "contexts", "mass"]]
 

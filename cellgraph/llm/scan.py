@@ -6,6 +6,7 @@ Arrow buffers in blocks of about ``BLOCK`` bytes (a longer text is a block of it
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -143,3 +144,11 @@ def by_document(counts: np.ndarray) -> np.ndarray:
     out = np.zeros(len(counts) + 1, dtype=np.int64)
     np.cumsum(counts, out=out[1:])
     return out
+
+
+def release() -> None:
+    """Give freed memory back to the system, where the C library can: workers live on."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:
+        pass
