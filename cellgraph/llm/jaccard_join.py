@@ -256,7 +256,8 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     over = materialise(sizes.filter(F.col("sets") > region_sets).select("pivot"), f"{folder}/over")
     has_large = not over.isEmpty()
     few = regions.join(over, "pivot", "left_anti") if has_large else regions
-    wanted = regions.select("id").distinct()
+    # a few wanted ids could be broadcast, many can't; the merge join is the same at every size
+    wanted = regions.select("id").distinct().hint("merge")
     # copies of a text share its id's text only if ids are unique; any row of an id will do otherwise
     texts = materialise(rows.join(wanted, "id", "left_semi").dropDuplicates(["id"]), f"{folder}/texts")
     _free(spark)
@@ -268,7 +269,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     together = parts[0]
     for p in parts[1:]:
         together = together.unionByName(p)
-    found = _join_groups(together.join(texts, "id"), width, percent)
+    found = _join_groups(together.hint("merge").join(texts, "id"), width, percent)
     for more in links:
         found = found.unionByName(more)
     edges = materialise(found, f"{folder}/links")
