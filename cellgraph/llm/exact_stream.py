@@ -131,7 +131,7 @@ def keep_firsts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     gone = materialise(found.filter(~F.col("kept")).select(F.col("doc_id").alias("_gone_id"), F.col("text_sha256").alias("_gone_sha"), F.col("keep_id").eqNullSafe(F.col("doc_id")).alias("_twin")), shared_dir(docs.sparkSession, "gone"))
     rows = docs.withColumn("_own_sha", F.sha2(normalised(F.col(f"`{text_col}`").cast("string")).cast("binary"), 256))
     same = (F.col(f"`{id_col}`").cast("long").eqNullSafe(F.col("_gone_id"))) & (F.col("_own_sha") == F.col("_gone_sha"))
-    stays = rows.join(gone, same, "left_anti")
+    stays = rows.join(gone.hint("merge"), same, "left_anti")
     twins = gone.filter("_twin")
     if not twins.isEmpty():
         stays = stays.unionByName(rows.join(twins, same, "left_semi").dropDuplicates([id_col, "_own_sha"]))

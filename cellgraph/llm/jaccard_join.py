@@ -287,7 +287,7 @@ def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     """The rows of ``docs`` whose id is the least of its component, with all their columns."""
     found = jaccard_components(docs, id_col, text_col, **options)
     gone = materialise(found.filter("doc_id IS NOT NULL AND component_id <> doc_id").select(F.col("doc_id").alias("_gone_id")).distinct(), shared_dir(docs.sparkSession, "near"))
-    return docs.join(gone, F.col(f"`{id_col}`").cast("long") == F.col("_gone_id"), "left_anti")
+    return docs.join(gone.hint("merge"), F.col(f"`{id_col}`").cast("long") == F.col("_gone_id"), "left_anti")
 
 
 def op7_metric_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
