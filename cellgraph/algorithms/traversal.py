@@ -74,10 +74,9 @@ def wcc_hooking(grid: EdgeGrid, max_rounds: int = 50) -> DataFrame:
         across = edges.join(pu, "u").join(pv, "v").filter("pu <> pv").select(F.greatest("pu", "pv").alias("vid"), F.least("pu", "pv").alias("h"))
         hooks = across.groupBy("vid").agg(F.min("h").alias("h"))
         hooked = label.join(hooks, "vid", "left").select("vid", F.least("p", F.coalesce("h", "p")).alias("p"))
-        up = hooked.withColumnsRenamed({"vid": "p", "p": "g"})
-        jumped = hooked.join(up, "p").select("vid", F.col("g").alias("p"))
-        again = jumped.withColumnsRenamed({"vid": "p", "p": "g"})
-        nxt = write_table(jumped.join(again, "p").select("vid", F.col("g").alias("p")), f"{folder}/r{k}")
+        hooked = write_table(hooked, f"{folder}/h{k}")
+        up = hooked.select(F.col("vid").alias("p"), F.col("p").alias("g"))
+        nxt = write_table(hooked.join(up, "p").select("vid", F.col("g").alias("p")), f"{folder}/r{k}")
         moved = nxt.join(label.withColumnRenamed("p", "was"), "vid").filter("p <> was").limit(1).count()
         delete(spark, f"{folder}/r{k - 1}")
         label = nxt

@@ -21,7 +21,7 @@ class EngineConfig:
     sync: str = "owner"  # owner: one task folds a destination; merge: partial folds meet in an exchange
     materialize_hubs: bool = False
     skip_inactive: bool | None = None  # None: where the program allows it
-    checkpoint_every: int = 5
+    checkpoint_every: int = 1
     broadcast_limit_bytes: int = 2 << 30
     max_rounds: int = 10_000
     dedup: bool = True

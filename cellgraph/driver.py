@@ -53,8 +53,9 @@ def run(grid: EdgeGrid, program: VertexProgram, config: EngineConfig | None = No
     """Run ``rounds`` rounds, or until no band is active (``rounds`` None), or until the
     summed change of a numeric attribute falls below ``tolerance``.
 
-    A fixed number of rounds needs no action in between: states are kept in memory, and
-    lineage is cut by a written table every ``checkpoint_every`` rounds and at the end.  Otherwise each round is written and one small aggregate
+    The state is written every ``checkpoint_every`` rounds and at the end.  A round reads it
+    two to four times, so plans of uncut rounds grow by that factor each; one round a table
+    keeps every plan small for a write of the state, a few hundredths of what the edges cost.  Otherwise each round is written and one small aggregate
     decides what the next one reads.
     """
     config = config or EngineConfig()
@@ -72,7 +73,6 @@ def run(grid: EdgeGrid, program: VertexProgram, config: EngineConfig | None = No
     if skip and not program.monotone:
         raise ValueError(f"{program.name} restarts its sums, so no band can be skipped")
     kept: dict = {}
-    held: list[DataFrame] = []
     steps, entries = 0, []
     cells_total = grid.cells.select("dst_band", "src_band").distinct() if log else None
     by_source = {r["src_band"]: r["c"] for r in cells_total.groupBy("src_band").agg(F.count("*").alias("c")).collect()} if log else {}
@@ -87,14 +87,8 @@ def run(grid: EdgeGrid, program: VertexProgram, config: EngineConfig | None = No
         steps += 1
         if targeted or skip or log or steps == rounds or steps % config.checkpoint_every == 0:
             state = write_table(state, f"{folder}/r{steps}")
-            while held:
-                held.pop().unpersist()
             if targeted and steps > 2 and tolerance is None:
                 delete(spark, f"{folder}/r{steps - 2}")
-        else:
-            # a round reads the state several times; kept, it is computed once
-            state = state.persist()
-            held.append(state)
         if log:
             entries.append({"round": steps, "active_bands": len(active) if active is not None else grid.bands, "cells_read": sum(by_source.get(b, 0) for b in active) if skip else sum(by_source.values()), "cells_skipped": sum(c for b, c in by_source.items() if skip and b not in active), "changed": state.filter("changed").count(), "secs": time.time() - began})
         if targeted or skip:
