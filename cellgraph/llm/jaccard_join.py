@@ -25,6 +25,7 @@ from __future__ import annotations
 
 import gc
 import hashlib
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +34,7 @@ from pyspark.sql import functions as F
 
 from . import scan
 from .components import connected_components
-from .storage import materialise, shared_dir
+from .storage import materialise, remove, shared_dir
 
 WORDS = 4
 PERCENT = 85
@@ -238,8 +239,10 @@ def _settle_large(large: DataFrame, texts: DataFrame, folder: str, width: int, p
 
 def _free(spark: SparkSession) -> None:
     """Let Spark drop shuffle files of plans that nothing refers to any more."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS, percent: int = PERCENT, region_sets: int = REGION_SETS, max_levels: int = 4) -> DataFrame:
@@ -247,9 +250,11 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     spark = docs.sparkSession
     folder = shared_dir(spark, "jaccard")
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    marks = materialise(_signatures(rows, width, percent), f"{folder}/marks")
-    reps = marks.filter("n > 0").groupBy("set_key").agg(F.min(F.struct("id", "n", "sketch")).alias("r")).select("r.*")
+    sketched = materialise(_signatures(rows, width, percent), f"{folder}/sketches")
+    reps = sketched.filter("n > 0").groupBy("set_key").agg(F.min(F.struct("id", "n", "sketch")).alias("r")).select("r.*")
     regions = materialise(_regions(_prefixes(reps, percent)), f"{folder}/regions")
+    marks = materialise(sketched.drop("sketch"), f"{folder}/marks")
+    remove(spark, f"{folder}/sketches")
     _free(spark)
 
     sizes = regions.groupBy("pivot").agg(F.count("*").alias("sets"))
@@ -273,6 +278,7 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     for more in links:
         found = found.unionByName(more)
     edges = materialise(found, f"{folder}/links")
+    remove(spark, f"{folder}/texts")
     _free(spark)
     component = connected_components(edges)
 
