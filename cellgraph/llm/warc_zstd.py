@@ -229,7 +229,7 @@ def read_bundles(spark: SparkSession, index: DataFrame, folder: str) -> DataFram
 
     names = index.select("bundle").distinct()
     # one archive a task: left alone, a few names would be gathered into a single task
-    return names.repartition(max(1, min(names.count(), 20_000)), "bundle").mapInArrow(read, READ_SCHEMA)
+    return names.repartition(max(1, min(names.count(), 20_000))).mapInArrow(read, READ_SCHEMA)
 
 
 def fetch(folder: str, bundle: str, frame: int, frame_offset: int, record_bytes: int) -> bytes:
