@@ -56,8 +56,8 @@ v AS MATERIALIZED (SELECT vm.vid, raw_key, coalesce(o.c, 0) AS out_deg, coalesce
   FROM vm CROSS JOIN nn LEFT JOIN (SELECT src, count(*) AS c FROM e GROUP BY src) o ON o.src = vm.vid LEFT JOIN (SELECT dst, count(*) AS c FROM e GROUP BY dst) i ON i.dst = vm.vid)"""
 
 
-def pagerank(graph: str, rounds: int = 10, damping: float = 0.85, dangling: str = "drop", tail: str = "SELECT vid, round(rank, 8) AS rank FROM r{k}") -> str:
-    parts = [base(graph), "r0 AS MATERIALIZED (SELECT vid, 1.0::DOUBLE / n AS rank FROM v, nn)"]
+def pagerank(graph: str, rounds: int = 10, damping: float = 0.85, dangling: str = "drop", start: str = "1.0::DOUBLE", tail: str = "SELECT vid, round(rank, 8) AS rank FROM r{k}") -> str:
+    parts = [base(graph), f"r0 AS MATERIALIZED (SELECT vid, {start} / n AS rank FROM v, nn)"]
     for k in range(1, rounds + 1):
         lost = f" + (SELECT coalesce(sum(rank), 0) FROM r{k - 1} JOIN v USING (vid) WHERE out_deg = 0) / n" if dangling == "spread" else ""
         parts.append(
