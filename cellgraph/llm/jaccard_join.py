@@ -4,8 +4,9 @@
    folded to one representative.
 2. Where links can be.  Two sets with J >= t share an element among the first
    n - ceil(t n) + 1 elements of each, in any fixed order of all elements.  The order takes a
-   fixed fifth of the hash space first, by how many sets hold the element (rarest first), and
-   then the rest by hash; so a scan ships about a fifth of the elements and no text.
+   fixed share of the hash space first, by how many sets hold the element (rarest first), and
+   then the rest by hash.  The share is a third more than the prefix takes (a fifth at 85 %),
+   so the commonest elements can be left out; a scan ships about that share and no text.
    Elements of one set alone can't link anything and are dropped at once.
 3. Pivots and regions.  For each shared element the least set that has it is the pivot; a
    pivot's region is every set that shares such an element with it.  A set near the border
@@ -38,11 +39,10 @@ from .storage import materialise, remove, shared_dir
 
 WORDS = 4
 PERCENT = 85
-#: Share of the hash space whose elements are ordered by frequency.
-POOL = 0.2
+#: Share of the hash space whose elements are ordered by frequency, by the prefix's share.
+POOL = 4 / 3
 #: Sets of a region that one task joins.
 REGION_SETS = 2000
-_POOL_LIMIT = np.uint64(int(POOL * (1 << 63)))
 _NULL_ID = (1 << 63) - 1
 
 _STEP = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
@@ -76,14 +76,21 @@ def prefix_length(n: int, percent: int = PERCENT) -> int:
     return n - -(-percent * n // 100) + 1 if n else 0
 
 
+def pool_limit(percent: int = PERCENT) -> np.uint64:
+    """Hashes below are in the pool.  A pool no larger than the prefix would leave it no choice."""
+    return np.uint64(int(min(1.0, POOL * (1 - percent / 100)) * ((1 << 63) - 1)))
+
+
 def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
     """(id, n, set_key, sketch): the elements of the pool, and as many more as a prefix needs."""
 
+    limit = pool_limit(percent)
+
     def scan_batches(batches):
         for batch in batches:
             for lo, hi, data, starts in scan.blocks(batch.column(1)):
                 sets = shingle_sets(data, starts, width)
-                sketches = [s[: max(int(np.searchsorted(s, _POOL_LIMIT)), prefix_length(len(s), percent))] for s in sets]
+                sketches = [s[: max(int(np.searchsorted(s, limit)), prefix_length(len(s), percent))] for s in sets]
                 offsets = scan.by_document(np.array([len(s) for s in sketches], np.int64)).astype(np.int32)
                 values = np.concatenate(sketches) if sketches else np.zeros(0, np.uint64)
                 yield pa.RecordBatch.from_arrays(
@@ -297,7 +304,7 @@ def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
 
 
 def op7_metric_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), width=4, percent=85)
 
 
 ORACLE_SQL = r"""
