@@ -8,9 +8,10 @@ context, so a query is a successor search between two pointers.  Probabilities a
 quantised to one byte each, uniformly in their logarithm.
 
 Smoothing: p(w) = (c + 0.1) / (N + 0.1 (V + 1)) for one word, and
-p(w | v) = kept(v, w) + backoff(v) p(w), where kept = (c(v, w) - D) / c(v) for pairs seen at
-least ``MIN_COUNT`` times and 0 otherwise, and backoff(v) = 1 - sum of kept, taken from the
-*quantised* values, so that each context's probabilities sum to one.
+p(w | v) = kept(v, w) + backoff(v) p(w), where kept = (c(v, w) - D) / c(v) for every pair
+seen (``min_count`` prunes on request only; pairs below it have 0), and backoff(v) = 1 - sum
+of kept, taken from the *quantised* values, so that each context's probabilities sum to one.
+D is below 1, so pairs seen once keep a share of their own.
 
 All counting is distributed and covers every training row.  A map task sorts and adds up
 its own tokens, and ships, for each hash shard, one compact block of keys and counts; a
@@ -45,7 +46,7 @@ from .storage import materialise, shared_dir
 #: Hashes of the end token and of the context before the first word; no word has a blank.
 END = np.uint64(scan.hash_bytes(b" end"))
 START = np.uint64(scan.hash_bytes(b" start"))
-MIN_COUNT = 2
+MIN_COUNT = 1
 DISCOUNT = 0.75
 SHARD_BYTES = 24 << 20
 FLUSH_TOKENS = 1_500_000
@@ -322,8 +323,10 @@ def _add_up(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 # ----------------------------------------------------------------------------- quantising
 
-#: Probabilities from 1e-7 to 1 in 255 steps of their logarithm; code 0 is the smallest.
-LOWEST = -7.0
+#: Probabilities from 1e-12 to 1 in 255 steps of their logarithm; code 0 is the smallest.  A
+#: pair seen once after a word seen 10**11 times is above it: rounding such pairs up would
+#: give frequent contexts more mass than one.
+LOWEST = -12.0
 
 
 def quantise(p: np.ndarray) -> np.ndarray:
@@ -502,10 +505,13 @@ class Model:
         before[offsets[:-1]] = len(words)
         contexts = np.append(words, START)
         back = np.append(left, self.m["start_left"])
-        p = self.kept(contexts, before, code_of(words)[inverse]) + back[before] * single[inverse]
+        # each pair of the block once, in the order of contexts and codes
+        pair, pair_of = np.unique(before * len(words) + inverse, return_inverse=True)
+        context, word = np.divmod(pair, len(words))
+        p = self.kept(contexts, context, code_of(words)[word]) + back[context] * single[word]
         first = offsets[:-1]
         logs = np.log10(single)
-        return np.add.reduceat((count > 0)[inverse].astype(np.int64), first), np.add.reduceat(logs[inverse], first), np.add.reduceat(np.log10(p), first)
+        return np.add.reduceat((count > 0)[inverse].astype(np.int64), first), np.add.reduceat(logs[inverse], first), np.add.reduceat(np.log10(p)[pair_of], first)
 
 
 _models: dict[str, Model] = {}
