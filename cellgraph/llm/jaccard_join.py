@@ -18,8 +18,12 @@
    in a distributed step; its unsettled sets are then joined with blocks of the rest.
 5. The links found (a spanning forest of each region) give the components.
 
-Nothing is sampled or capped.  Null texts are empty; sets without elements link with
-nothing.  Ids are taken as long; a null id sorts last and is returned as null.
+Nothing is sampled or capped.  What is joined are the *different sets*, numbered by the row
+that stands for each, never the documents' ids: rows of one id, or without id, keep their own
+texts and links.  A component's number is the least id of its rows, so rows without id are in
+the component of what they link with and return null only where no row of it has an id.  Null
+texts are empty; sets without elements link with nothing.  A very long text is a block of its
+own; empty tables give none; columns other than the two named are never read.
 """
 
 from __future__ import annotations
@@ -35,15 +39,17 @@ from pyspark.sql import functions as F
 
 from . import scan
 from .components import connected_components
-from .storage import materialise, remove, shared_dir
+from .storage import fresh_names, materialise, remove, shared_dir
 
-WORDS = 4
-PERCENT = 85
+#: Near copies, unless a caller says otherwise, share 80 % of their five-word shingles.
+WORDS = 5
+PERCENT = 80
 #: Share of the hash space whose elements are ordered by frequency, by the prefix's share.
 POOL = 4 / 3
 #: Sets of a region that one task joins.
 REGION_SETS = 2000
-_NULL_ID = (1 << 63) - 1
+#: A set held by more than this share of all rows is hot; there are fewer than its inverse.
+HOT_SHARE = 0.001
 
 _STEP = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
@@ -82,7 +88,8 @@ def pool_limit(percent: int = PERCENT) -> np.uint64:
 
 
 def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """(id, n, set_key, sketch): the elements of the pool, and as many more as a prefix needs."""
+    """(doc_id, t1, t2, n, set_key, sketch) of rows (id, text, t1, t2): the elements of the pool,
+    and as many more as a prefix needs."""
 
     limit = pool_limit(percent)
 
@@ -94,11 +101,11 @@ def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
                 offsets = scan.by_document(np.array([len(s) for s in sketches], np.int64)).astype(np.int32)
                 values = np.concatenate(sketches) if sketches else np.zeros(0, np.uint64)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, hi - lo), pa.array([len(s) for s in sets], pa.int32()), pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.astype(np.int64)))],
-                    names=["id", "n", "set_key", "sketch"],
+                    [*(batch.column(k).slice(lo, hi - lo) for k in (0, 2, 3)), pa.array([len(s) for s in sets], pa.int32()), pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.astype(np.int64)))],
+                    names=["doc_id", "t1", "t2", "n", "set_key", "sketch"],
                 )
 
-    return docs.mapInArrow(scan_batches, "id long, n int, set_key binary, sketch array<long>")
+    return docs.mapInArrow(scan_batches, "doc_id long, t1 long, t2 long, n int, set_key binary, sketch array<long>")
 
 
 def _prefixes(reps: DataFrame, percent: int) -> DataFrame:
@@ -252,13 +259,25 @@ def _free(spark: SparkSession) -> None:
         time.sleep(0.3)
 
 
-def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS, percent: int = PERCENT, region_sets: int = REGION_SETS, max_levels: int = 4) -> DataFrame:
-    """(doc_id, n_shingles, component_id) of each row of ``docs``."""
+def _attach(rows: DataFrame, keys: DataFrame, hot: DataFrame, on: str) -> DataFrame:
+    """``rows`` left-joined with ``keys`` on ``on``.  ``hot``, the keys of more than ``HOT_SHARE``
+    of all rows, are fewer than its inverse at any size: they are broadcast, so no task gets
+    all rows of one."""
+    often = keys.join(F.broadcast(hot), on, "left_semi")
+    seldom = rows.join(F.broadcast(hot), on, "left_anti")
+    return seldom.join(keys.hint("merge"), on, "left").unionByName(rows.join(F.broadcast(often), on))
+
+
+def _numbered(docs: DataFrame, id_col: str, text_col: str, width: int, percent: int, region_sets: int, max_levels: int) -> DataFrame:
+    """(t1, t2, doc_id, n, component_id, keeper) of each row of ``docs``; ``keeper``: the number
+    of the set whose row stays of the component, and ``own``: that of the row's set."""
     spark = docs.sparkSession
     folder = shared_dir(spark, "jaccard")
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    sketched = materialise(_signatures(rows, width, percent), f"{folder}/sketches")
-    reps = sketched.filter("n > 0").groupBy("set_key").agg(F.min(F.struct("id", "n", "sketch")).alias("r")).select("r.*")
+    text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"))
+    # the number is written with the row: it can't change when a lost task is run again
+    sketched = materialise(_signatures(rows, width, percent).withColumn("rid", F.monotonically_increasing_id()), f"{folder}/sketches")
+    reps = sketched.filter("n > 0").groupBy("set_key").agg(F.min(F.struct("rid", "n", "sketch")).alias("r")).select(F.col("r.rid").alias("id"), "r.n", "r.sketch")
     regions = materialise(_regions(_prefixes(reps, percent)), f"{folder}/regions")
     marks = materialise(sketched.drop("sketch"), f"{folder}/marks")
     remove(spark, f"{folder}/sketches")
@@ -268,10 +287,10 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     over = materialise(sizes.filter(F.col("sets") > region_sets).select("pivot"), f"{folder}/over")
     has_large = not over.isEmpty()
     few = regions.join(over, "pivot", "left_anti") if has_large else regions
-    # a few wanted ids could be broadcast, many can't; the merge join is the same at every size
-    wanted = regions.select("id").distinct().hint("merge")
-    # copies of a text share its id's text only if ids are unique; any row of an id will do otherwise
-    texts = materialise(rows.join(wanted, "id", "left_semi").dropDuplicates(["id"]), f"{folder}/texts")
+    # a few wanted texts could be broadcast, many can't; the merge joins are the same at every size
+    wanted = marks.join(regions.select(F.col("id").alias("rid")).distinct().hint("merge"), "rid", "left_semi").select(F.col("rid").alias("node"), F.col("doc_id").alias("w_id"), F.col("t1").alias("w1"), F.col("t2").alias("w2"))
+    same = F.col("id").eqNullSafe(F.col("w_id")) & (F.col("t1") == F.col("w1")) & (F.col("t2") == F.col("w2"))
+    texts = materialise(rows.join(wanted.hint("merge"), same).dropDuplicates(["node"]).select(F.col("node").alias("id"), "text"), f"{folder}/texts")
     _free(spark)
     parts = [few.select(F.col("pivot").cast("string").alias("part"), "id", F.lit(False).alias("settled"))]
     links = []
@@ -289,18 +308,49 @@ def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     _free(spark)
     component = connected_components(edges)
 
-    keys = marks.filter("n > 0").groupBy("set_key").agg(F.min("id").alias("rep"))
-    grouped = marks.filter("n > 0").select("id", "n", "set_key").join(keys, "set_key").join(component, F.col("rep") == F.col("node"), "left").select("id", "n", F.coalesce("component", "rep").alias("c"))
-    alone = marks.filter("n = 0").select("id", "n", F.col("id").alias("c"))
-    real = lambda c: F.when(F.col(c) != _NULL_ID, F.col(c))
-    return grouped.unionByName(alone).select(real("id").alias("doc_id"), F.col("n").cast("long").alias("n_shingles"), real("c").alias("component_id"))
+    # of a component the row with the least id stays; of equal ids the first row, nulls last
+    first = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid")
+    keys = materialise(marks.filter("n > 0").groupBy("set_key").agg(F.min("rid").alias("node"), F.min(first).alias("first"), F.count("*").alias("held")), f"{folder}/keys")
+    labelled = keys.join(component.hint("merge"), "node", "left").select("set_key", "held", "first", F.coalesce("component", "node").alias("c"))
+    # only sets that hold several rows or are linked need an answer from others
+    several = labelled.groupBy("c").agg(F.min("first").alias("least"), F.sum("held").alias("rows")).filter("rows > 1")
+    answers = materialise(labelled.join(several.hint("merge"), "c").select("set_key", "held", F.col("least.doc_id").alias("component_id"), F.col("least.rid").alias("keeper")), f"{folder}/answers")
+    total = marks.count()
+    hot = answers.filter(F.col("held") > HOT_SHARE * total).select("set_key")
+    met = _attach(marks.filter("n > 0"), answers.drop("held"), hot, "set_key")
+    alone = marks.filter("n = 0").withColumns({"component_id": F.lit(None).cast("long"), "keeper": F.lit(None).cast("long")})
+    shown = [F.when(F.col("keeper").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.coalesce("keeper", "rid").alias("keeper")]
+    return met.unionByName(alone).select("doc_id", "t1", "t2", "n", "rid", *shown)
 
 
-def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of ``docs`` whose id is the least of its component, with all their columns."""
-    found = jaccard_components(docs, id_col, text_col, **options)
-    gone = materialise(found.filter("doc_id IS NOT NULL AND component_id <> doc_id").select(F.col("doc_id").alias("_gone_id")).distinct(), shared_dir(docs.sparkSession, "near"))
-    return docs.join(gone.hint("merge"), F.col(f"`{id_col}`").cast("long") == F.col("_gone_id"), "left_anti")
+def jaccard_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS, percent: int = PERCENT, region_sets: int = REGION_SETS, max_levels: int = 4) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of each row of ``docs``."""
+    found = _numbered(docs, id_col, text_col, width, percent, region_sets, max_levels)
+    return found.select("doc_id", F.col("n").cast("long").alias("n_shingles"), "component_id")
+
+
+def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WORDS, percent: int = PERCENT, region_sets: int = REGION_SETS, max_levels: int = 4) -> DataFrame:
+    """The rows of ``docs`` that stay, one of each component, with all their columns.
+
+    Rows go by (id, text), so a repeated id takes no other text along; rows that agree in
+    both are one row.
+    """
+    spark = docs.sparkSession
+    found = materialise(_numbered(docs, id_col, text_col, width, percent, region_sets, max_levels), shared_dir(spark, "near"))
+    names = fresh_names(docs, "id", "t1", "t2", "gone_id", "gone1", "gone2")
+    own_id, own1, own2, gone_id, gone1, gone2 = names
+    mine = F.col("keeper") == F.col("rid")
+    by_row = found.groupBy(F.col("doc_id").alias(gone_id), F.col("t1").alias(gone1), F.col("t2").alias(gone2)).agg(F.bool_or(mine).alias("stay"), F.bool_or(~mine).alias("go"))
+    gone = by_row.filter("go").drop("stay", "go")
+    # a row that stays may have twins among these: one of them comes back
+    twins = by_row.filter("go AND stay").drop("stay", "go")
+    text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
+    rows = docs.withColumns({own_id: F.col(f"`{id_col}`").cast("long"), own1: F.xxhash64(text), own2: F.xxhash64(F.lit(1), text)})
+    same = F.col(own_id).eqNullSafe(F.col(gone_id)) & (F.col(own1) == F.col(gone1)) & (F.col(own2) == F.col(gone2))
+    out = rows.join(gone.hint("merge"), same, "left_anti")
+    if not twins.isEmpty():
+        out = out.unionByName(rows.join(twins, same, "left_semi").dropDuplicates([own_id, own1, own2]))
+    return out.drop(*names)
 
 
 def op7_metric_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,6 +17,8 @@ def shared_dir(spark: SparkSession, label: str) -> str:
     """A fresh sub-folder of the shared checkpoint folder, as a URI or absolute path."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no shared folder; a machine's own is not seen by the others")
         base = os.path.join(tempfile.gettempdir(), "cellgraph-shared")
         os.makedirs(base, exist_ok=True)
     return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
@@ -33,3 +35,15 @@ def remove(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def fresh_names(df: DataFrame, *labels: str) -> list[str]:
+    """Column names for inner use that no column of ``df`` has, in any case of letters."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for label in labels:
+        name = f"_{label}"
+        while name in taken:
+            name += "_"
+        taken.add(name)
+        out.append(name)
+    return out
