@@ -6,13 +6,20 @@ stable document id, row number, and locator: source file and row in it) and how
 have had it.  Partial aggregation in the map tasks folds the copies of a hot text before
 the shuffle, so a group of any size costs one row a task.
 
-A digest that was hit is only a candidate.  The full normalised bytes of all its rows are
-compared (smallest and largest as byte strings are equal exactly if all are); rows of a
-digest that holds different texts are grouped anew by their bytes.
+A digest that was hit is only a candidate.  The locators of its rows lead back to the full
+bytes, which are compared (smallest and largest as byte strings are equal exactly if all
+are); rows of a digest that holds different texts are grouped anew by their bytes.
+Locators also say which rows go.  Rows that don't come from files one to one (a join, say)
+are written to the shared folder first, which gives them a place to point to.
+
+Answers go back to the rows by a join on the digest; digests of more than ``HOT_SHARE`` of
+all rows, fewer than its inverse at any size, are broadcast instead, so that no task gets
+all rows of one.
 
 Nulls count as empty texts, a null id sorts after all others, and of rows that agree in
-length and id the last written stays.  An empty input gives an empty result.  Only the id
-and text columns are read, so other columns may have any name.
+length and id the last written stays.  An empty input gives an empty result.  A very long
+text is one value, as in any column.  Only the id and text columns are read, and names used
+inside are new ones, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -21,8 +28,9 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .storage import materialise, shared_dir
+from .storage import fresh_names, materialise, shared_dir
 
+HOT_SHARE = 0.001
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 #: Settings of the state store while the stream runs.  Without preallocation a partition of
 #: the state takes the room of its keys, not 4 MB of manifest.
@@ -37,15 +45,39 @@ def normalised(text):
     return out
 
 
-def inbox_rows(docs: DataFrame, id_col: str, text_col: str, key_hex: int) -> DataFrame:
-    """The narrow rows that enter the stream: digest, id, length and locator, no text."""
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    own = [F.col(id_col).cast("long").alias("doc_id"), F.sha2(normalised(text).cast("binary"), 256).alias("sha"), F.char_length(text).cast("long").alias("n_points")]
+def _is_scan(docs: DataFrame) -> bool:
+    """Whether every row of ``docs`` is a row of a file, and no other row is the same one."""
+    node = docs._jdf.queryExecution().analyzed()
+    while node.children().size() == 1 and node.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        node = node.children().head()
+    if not node.children().isEmpty() or "_metadata" in (c.lower() for c in docs.columns):
+        return False
     try:
-        rows = docs.select(*own, F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row"))
-    except AnalysisException:  # rows that don't come from files have no place to point to
-        rows = docs.select(*own, F.lit(None).cast("string").alias("file"), F.lit(None).cast("long").alias("row"))
-    return rows.withColumns({"key": F.substring("sha", 1, key_hex), "rid": F.monotonically_increasing_id()})
+        docs.select("_metadata.row_index")
+    except AnalysisException:
+        return False
+    return True
+
+
+def located(docs: DataFrame) -> tuple[DataFrame, str, str]:
+    """``docs`` with a locator, as two more columns: (rows, name of the file's column, of the row's)."""
+    file, row = fresh_names(docs, "file", "row")
+    if not _is_scan(docs):
+        names = [f"c{k}" for k in range(len(docs.columns))]  # any names may be written, but not any two
+        held = materialise(docs.toDF(*names), shared_dir(docs.sparkSession, "located"))
+        held = held.select(*names, F.col("_metadata.file_path").alias(file), F.col("_metadata.row_index").alias(row))
+        return held.toDF(*docs.columns, file, row), file, row
+    return docs.select("*", F.col("_metadata.file_path").alias(file), F.col("_metadata.row_index").alias(row)), file, row
+
+
+def inbox_rows(rows: DataFrame, id_col: str, text_col: str, key_hex: int, file: str, row: str) -> DataFrame:
+    """The narrow rows that enter the stream: digest, id, length and locator, no text."""
+    text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
+    own = rows.select(
+        F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.sha2(normalised(text).cast("binary"), 256).alias("sha"), F.char_length(text).cast("long").alias("n_points"),
+        F.col(file).alias("file"), F.col(row).alias("row"),
+    )
+    return own.withColumns({"key": F.substring("sha", 1, key_hex), "rid": F.monotonically_increasing_id()})
 
 
 def keep_state(stream: DataFrame) -> DataFrame:
@@ -83,59 +115,65 @@ def drain(spark: SparkSession, inbox: str, schema, folder: str, files_per_batch:
     return changes.groupBy("key").agg(F.max(F.struct("batch", "keep", "group_size")).alias("last")).select("key", "last.keep", "last.group_size")
 
 
-def dedup_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key_hex: int = 64, folder: str | None = None) -> DataFrame:
-    """One row for each input row: doc_id, keep_id, group_size, kept, text_sha256, and the
-    locator (keep_file, keep_row) of the row that stays.
+def _answers(inbox: DataFrame, groups: DataFrame, on: str, total: int) -> DataFrame:
+    """``inbox`` left-joined with the groups of several rows, hot ones by broadcast."""
+    hot = F.broadcast(groups.filter(F.col("group_size") > HOT_SHARE * total))
+    seldom = inbox.join(hot.select(on), on, "left_anti").join(groups.hint("merge"), on, "left")
+    return seldom.unionByName(inbox.join(hot, on)) if total else seldom
 
-    ``key_hex``: hex digits of the digest that key the state; fewer make different texts
-    collide, which the comparison of full bytes then takes apart.
-    """
-    spark = docs.sparkSession
-    folder = folder or shared_dir(spark, "exact")
-    rows = inbox_rows(docs, id_col, text_col, key_hex)
-    inbox = materialise(rows, f"{folder}/inbox")
-    state = materialise(drain(spark, f"{folder}/inbox", rows.schema, folder), f"{folder}/keys")
-    groups = state.filter("group_size > 1")
-
-    texts = docs.select(normalised(F.col(text_col).cast("string")).alias("body")).withColumn("key", F.substring(F.sha2(F.col("body").cast("binary"), 256), 1, key_hex))
-    hits = texts.join(groups.select("key"), "key", "left_semi")
-    mixed = materialise(hits.groupBy("key").agg((F.min("body") != F.max("body")).alias("differs")).filter("differs").select("key"), f"{folder}/mixed")
-
-    def result(left: DataFrame, keys: DataFrame, on: str) -> DataFrame:
-        keep = F.col("keep")
-        return left.join(keys, on, "left").select(
-            "doc_id",
-            F.when(keep.isNull(), F.col("doc_id")).otherwise(-keep["neg_id"]).alias("keep_id"),
-            F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"),
-            (keep.isNull() | (keep["rid"] == F.col("rid"))).alias("kept"),
-            F.col("sha").alias("text_sha256"),
-            F.coalesce(keep["file"], F.col("file")).alias("keep_file"),
-            F.coalesce(keep["row"], F.col("row")).alias("keep_row"),
-        )
 
+def _decide(rows: DataFrame, file: str, row: str, id_col: str, text_col: str, key_hex: int, folder: str) -> DataFrame:
+    """The inbox rows with ``keep`` and ``group_size``, null where a row is alone."""
+    spark = rows.sparkSession
+    narrow = inbox_rows(rows, id_col, text_col, key_hex, file, row)
+    inbox = materialise(narrow, f"{folder}/inbox")
+    state = materialise(drain(spark, f"{folder}/inbox", narrow.schema, folder), f"{folder}/keys")
+    total = inbox.count()
+    marked = materialise(_answers(inbox, state.filter("group_size > 1"), "key", total), f"{folder}/marked")
+
+    hits = marked.filter("group_size > 1").select("key", F.col("file").alias("at_file"), F.col("row").alias("at_row"))
+    bodies = rows.select(normalised(F.col(f"`{text_col}`").cast("string")).alias("body"), F.col(file).alias("b_file"), F.col(row).alias("b_row"))
+    met = bodies.join(hits.hint("merge"), (F.col("b_file") == F.col("at_file")) & (F.col("b_row") == F.col("at_row")))
+    mixed = materialise(met.groupBy("key").agg((F.min("body") != F.max("body")).alias("differs")).filter("differs").select("key"), f"{folder}/mixed")
     if mixed.isEmpty():
-        return result(inbox, groups, "key")
+        return marked
     if key_hex >= 64:
         raise RuntimeError("different texts share a whole SHA-256 digest")
-    sure = inbox.join(mixed, "key", "left_anti")
+    sure = marked.join(mixed, "key", "left_anti")
     doubt = inbox.join(mixed, "key", "left_semi")
-    return result(sure, groups, "key").unionByName(result(doubt, doubt.groupBy("sha").agg(F.max(F.struct("n_points", (-F.col("doc_id")).alias("neg_id"), "rid", "file", "row")).alias("keep"), F.count("*").alias("group_size")), "sha"))
+    rank = F.struct("n_points", (-F.col("doc_id")).alias("neg_id"), "rid", "file", "row")
+    anew = doubt.groupBy("sha").agg(F.max(rank).alias("keep"), F.count("*").alias("group_size")).filter("group_size > 1")
+    return sure.unionByName(_answers(doubt, anew, "sha", total))
 
 
-def keep_firsts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns.
+def dedup_exact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key_hex: int = 64, folder: str | None = None) -> DataFrame:
+    """One row for each input row: doc_id, keep_id, group_size, kept, text_sha256, and the
+    locator (keep_file, keep_row) of the row that stays.
 
-    Rows go by (id, digest); of rows that agree in both, one stays.
+    ``key_hex``: hex digits of the digest that key the state; fewer make different texts
+    collide, which the comparison of full bytes then takes apart.
     """
-    found = dedup_exact(docs, id_col, text_col, **options)
-    gone = materialise(found.filter(~F.col("kept")).select(F.col("doc_id").alias("_gone_id"), F.col("text_sha256").alias("_gone_sha"), F.col("keep_id").eqNullSafe(F.col("doc_id")).alias("_twin")), shared_dir(docs.sparkSession, "gone"))
-    rows = docs.withColumn("_own_sha", F.sha2(normalised(F.col(f"`{text_col}`").cast("string")).cast("binary"), 256))
-    same = (F.col(f"`{id_col}`").cast("long").eqNullSafe(F.col("_gone_id"))) & (F.col("_own_sha") == F.col("_gone_sha"))
-    stays = rows.join(gone.hint("merge"), same, "left_anti")
-    twins = gone.filter("_twin")
-    if not twins.isEmpty():
-        stays = stays.unionByName(rows.join(twins, same, "left_semi").dropDuplicates([id_col, "_own_sha"]))
-    return stays.drop("_own_sha")
+    rows, file, row = located(docs)
+    found = _decide(rows, file, row, id_col, text_col, key_hex, folder or shared_dir(docs.sparkSession, "exact"))
+    keep = F.col("keep")
+    return found.select(
+        "doc_id",
+        F.when(keep.isNull(), F.col("doc_id")).otherwise(-keep["neg_id"]).alias("keep_id"),
+        F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"),
+        (keep.isNull() | (keep["rid"] == F.col("rid"))).alias("kept"),
+        F.col("sha").alias("text_sha256"),
+        F.coalesce(keep["file"], F.col("file")).alias("keep_file"),
+        F.coalesce(keep["row"], F.col("row")).alias("keep_row"),
+    )
+
+
+def keep_firsts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key_hex: int = 64) -> DataFrame:
+    """The rows of ``docs`` that stay, one of each text, with all their columns."""
+    rows, file, row = located(docs)
+    found = _decide(rows, file, row, id_col, text_col, key_hex, shared_dir(docs.sparkSession, "exact"))
+    gone_file, gone_row = fresh_names(rows, "gone_file", "gone_row")
+    gone = found.filter(F.col("keep.rid") != F.col("rid")).select(F.col("file").alias(gone_file), F.col("row").alias(gone_row))
+    return rows.join(gone.hint("merge"), (F.col(file) == F.col(gone_file)) & (F.col(row) == F.col(gone_row)), "left_anti").drop(file, row)
 
 
 def op4_exact_stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
