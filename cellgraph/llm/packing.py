@@ -12,13 +12,16 @@ Work is dealt out by a hash of the id into shards of about ``shard_tokens`` toke
 the sources and clusters; only lengths and keys move, never texts.
 
 Null texts are empty: just the end token.  A null source or cluster conflicts with nothing.
-Repeated rows are pieces of their own.  An empty table gives no rows.
+Repeated rows are pieces of their own.  An empty table gives no rows.  A very long text is
+one row of a shard until it is cut there.  Only the columns named are read, so others may
+have any name.  Shard, order and so bin ids depend on the rows alone.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -149,18 +152,29 @@ def pack_documents(docs: DataFrame, capacity: int = CAPACITY, shard_tokens: int
     total = rows.agg(F.coalesce(F.sum("n_tokens"), F.lit(0)).alias("t")).first()["t"]
     shards = max(1, -(-int(total) // shard_tokens))
     rows = rows.withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster"), F.lit(shards)))
-    whole = (F.col("n_tokens") / capacity).cast("long")
-    full = rows.filter(whole > 0).select("doc_id", F.explode(F.sequence(F.lit(0).cast("long"), whole - 1)).alias("k")).select(
-        "doc_id", F.col("k").cast("int").alias("piece"), (F.col("k") * capacity).alias("token_begin"), F.lit(capacity).alias("n_tokens"), (-F.monotonically_increasing_id() - 1).alias("bin_id"), F.lit(0).alias("bin_offset")
-    )
-    rest = rows.filter(F.col("n_tokens") % capacity > 0).select("shard", "doc_id", whole.cast("int").alias("piece"), (whole * capacity).alias("token_begin"), (F.col("n_tokens") % capacity).cast("int").alias("n_tokens"), "source", "cluster")
+    names = [c.split()[0] for c in RESULT.split(", ")]
 
     def pack(key, frame):
-        out = pack_shard(frame, capacity)
-        return out.assign(bin_id=(int(key[0]) << 32) + out["bin"])[[c.split()[0] for c in RESULT.split(", ")]]
-
-    packed = rest.groupBy("shard").applyInPandas(pack, RESULT)
-    return packed.unionByName(full)
+        whole, rest = frame["n_tokens"] // capacity, frame["n_tokens"] % capacity
+        begun = frame.assign(piece=whole, token_begin=whole * capacity, n_tokens=rest)
+        out = pack_shard(begun[rest > 0], capacity)
+        # full pieces come after the shared bins, in order of id and piece: the same in every run
+        long = frame[whole > 0].sort_values(["doc_id", "n_tokens"], kind="stable", na_position="last")
+        turns = (long["n_tokens"] // capacity).to_numpy()
+        full = long.loc[long.index.repeat(turns), ["doc_id"]]
+        piece = np.concatenate([np.arange(n) for n in turns]) if len(turns) else np.zeros(0, np.int64)
+        bins = int(out["bin"].max()) + 1 if len(out) else 0
+        full = full.assign(piece=piece, token_begin=piece * capacity, n_tokens=capacity, bin=bins + np.arange(len(piece)), bin_offset=0)
+        every = pd.concat([out, full], ignore_index=True)
+        return every.assign(bin_id=(int(key[0]) << 32) + every["bin"])[names]
+
+    return rows.groupBy("shard").applyInPandas(pack, RESULT)
+
+
+def fill_rate(placed: DataFrame, capacity: int = CAPACITY) -> DataFrame:
+    """(bins, tokens, fill): how full the bins of ``pack_documents`` are, from 0 to 1."""
+    each = placed.groupBy("bin_id").agg(F.sum("n_tokens").alias("t"))
+    return each.agg(F.count("*").alias("bins"), F.coalesce(F.sum("t"), F.lit(0)).alias("tokens")).withColumn("fill", F.when(F.col("bins") > 0, F.col("tokens") / (F.col("bins") * capacity)))
 
 
 def pack_texts(docs: DataFrame, capacity: int = CAPACITY, shard_tokens: int = SHARD_TOKENS) -> DataFrame:
