@@ -6,10 +6,15 @@ one distributed pass.  Centroids are fitted on a bounded sample: spherical k-mea
 the sampled vectors of each language into ``CLUSTERS``.  The prediction is the language of
 the centroid with the greatest cosine, and that cosine is the score.  A text is rejected
 when it has no letter, or is farther from every centroid of its language than the
-language's threshold, which is derived from the sample's own distances.
+language's threshold for texts of its length.  Thresholds are derived from the distances of
+the sample's texts and of short passages cut from them, in bands of their number of
+trigrams: a text of a word or two has a low cosine by nature.
 
 Null texts and texts without a letter are ``und`` with score 0.  With no labelled training
-row everything is ``und``.  Ties go to the first language in sort order.
+row everything is ``und``.  Ties go to the first language in sort order.  A block of texts
+is bounded in bytes and in rows; a very long text is a block of its own.  Repeated rows are
+counted and answered one by one; empty tables give no rows; columns of other names come
+along unchanged, whatever they are called.
 """
 
 from __future__ import annotations
@@ -24,6 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import scan
+from .storage import fresh_names
 
 BINS = 4096
 CLUSTERS = 4
@@ -32,9 +38,37 @@ SAMPLE_PER_LANGUAGE = 500
 SAMPLE_TOTAL = 8000
 #: A text is rejected at less than this share of the sample's lowest typical cosine.
 REJECT_SHARE = 0.5
+#: Texts whose numbers of trigrams have the same number of binary digits share a threshold.
+BANDS = 24
+#: Words of the passages that calibrate short texts, and how many passages of a band are enough.
+PASSAGES = (1, 1, 1, 2, 2, 4, 8, 16)
+ENOUGH = 30
+#: Rows whose vectors are held at once.
+BLOCK_ROWS = 512
 UNKNOWN = "und"
 
 
+def _blocks(column):
+    """:func:`scan.blocks`, bounded in rows as well: a vector takes ``4 * BINS`` bytes."""
+    for lo, hi, data, starts in scan.blocks(column):
+        for a in range(0, hi - lo, BLOCK_ROWS):
+            b = min(a + BLOCK_ROWS, hi - lo)
+            yield lo + a, lo + b, data[starts[a] : starts[b]], starts[a : b + 1] - starts[a]
+
+
+def band_of(counts: np.ndarray) -> np.ndarray:
+    """The length band of each row of trigram counts."""
+    total = counts.sum(axis=1)
+    return np.minimum(np.floor(np.log2(np.maximum(total, 1))).astype(np.int64), BANDS - 1)
+
+
+def passages_of(text: str) -> list[str]:
+    """Short passages from all over a text, each with a letter."""
+    words = [w for w in text[:20_000].split() if any(c.isalpha() for c in w)]
+    step = len(words) // len(PASSAGES)
+    return [" ".join(words[k * step : k * step + n]) for k, n in enumerate(PASSAGES) if len(words) > n] if step else []
+
+
 def bin_counts(data: np.ndarray, starts: np.ndarray, bins: int = BINS) -> np.ndarray:
     """Trigram counts (float32) of each document of a block; documents are padded by blanks."""
     n = len(starts) - 1
@@ -96,7 +130,7 @@ class CentroidModel:
     idf: np.ndarray
     centroids: np.ndarray  # (languages * clusters, bins)
     owner: np.ndarray  # language of each centroid
-    threshold: np.ndarray  # least accepted cosine of each language
+    threshold: np.ndarray  # (languages, bands): least accepted cosine by length
     fallback: int = 0
 
     def predict(self, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -105,7 +139,7 @@ class CentroidModel:
         best = np.argmax(cos, axis=1)
         score = np.clip(cos[np.arange(len(cos)), best], 0.0, 1.0)
         lang = np.where(score > 0, self.owner[best], self.fallback)
-        return lang, score.astype(np.float64), score >= self.threshold[lang]
+        return lang, score.astype(np.float64), score >= self.threshold[lang, band_of(counts)]
 
 
 def _text(rows: DataFrame) -> DataFrame:
@@ -118,7 +152,7 @@ def document_frequencies(rows: DataFrame, bins: int = BINS) -> tuple[np.ndarray,
     def count(batches):
         df, n = np.zeros(bins, np.int64), 0
         for batch in batches:
-            for _, _, data, starts in scan.blocks(batch.column(0)):
+            for _, _, data, starts in _blocks(batch.column(0)):
                 counts = bin_counts(data, starts, bins)
                 df += (counts > 0).sum(axis=0)
                 n += len(counts)
@@ -131,6 +165,26 @@ def document_frequencies(rows: DataFrame, bins: int = BINS) -> tuple[np.ndarray,
     return out[:-1], int(out[-1])
 
 
+def _thresholds(cosine: np.ndarray, band: np.ndarray, passages: list[str], centroids: np.ndarray, idf: np.ndarray) -> np.ndarray:
+    """Least accepted cosine of each band: a share of the lowest typical one of the sample's
+    texts and passages there, never more than that of all texts; bands with too few take that
+    of the next shorter one, and the shortest accept what has any likeness."""
+    near, bands = [cosine], [band]
+    for lo, hi, data, starts in _blocks(pa.array(passages, pa.string())):
+        counts = bin_counts(data, starts, len(idf))
+        near.append((weigh(counts, idf) @ centroids.T).max(axis=1))
+        bands.append(band_of(counts))
+    near, bands = np.concatenate(near), np.concatenate(bands)
+    top, out, last = REJECT_SHARE * float(np.quantile(cosine, 0.01)), np.zeros(BANDS), 0.0
+    for b in range(BANDS):
+        here = near[bands == b]
+        if len(here) >= ENOUGH:
+            last = min(top, REJECT_SHARE * float(np.quantile(here, 0.01)))
+        out[b] = last
+    # a longer text is never held to less than a shorter one
+    return np.maximum.accumulate(out)
+
+
 def fit(train: DataFrame, bins: int = BINS, clusters: int = CLUSTERS, per_language: int = SAMPLE_PER_LANGUAGE, total: int = SAMPLE_TOTAL) -> CentroidModel:
     """Fit on rows (doc_id, text, lang); rows without a language only add nothing.
 
@@ -141,7 +195,7 @@ def fit(train: DataFrame, bins: int = BINS, clusters: int = CLUSTERS, per_langua
     sizes = {r["lang"]: r["n"] for r in train.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     langs = sorted(sizes)
     if not langs:
-        return CentroidModel([], np.ones(bins, np.float32), np.zeros((0, bins), np.float32), np.zeros(0, np.int64), np.zeros(0))
+        return CentroidModel([], np.ones(bins, np.float32), np.zeros((0, bins), np.float32), np.zeros(0, np.int64), np.zeros((0, BANDS)))
     per = max(1, min(per_language, total // len(langs)))
     df, n = document_frequencies(train, bins)
     idf = (np.log((1 + n) / (1 + df)) + 1).astype(np.float32)
@@ -150,23 +204,25 @@ def fit(train: DataFrame, bins: int = BINS, clusters: int = CLUSTERS, per_langua
 
     def vectors(batches):
         for batch in batches:
-            for lo, hi, data, starts in scan.blocks(batch.column(2)):
-                x = weigh(bin_counts(data, starts, bins), idf)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), pa.array([r.tobytes() for r in x.astype(np.float16)], pa.binary())], names=["doc_id", "lang", "x"])
+            for lo, hi, data, starts in _blocks(batch.column(2)):
+                counts = bin_counts(data, starts, bins)
+                x = weigh(counts, idf)
+                short = [passages_of(t.as_py()) for t in batch.column(2).slice(lo, hi - lo)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), batch.column(1).slice(lo, hi - lo), pa.array([r.tobytes() for r in x.astype(np.float16)], pa.binary()), pa.array(band_of(counts), pa.int32()), pa.array(short, pa.list_(pa.string()))], names=["doc_id", "lang", "x", "band", "short"])
 
-    rows = sorted(picked.select(F.col("doc_id").cast("string").alias("doc_id"), "lang", "text").mapInArrow(vectors, "doc_id string, lang string, x binary").collect(), key=lambda r: (r["lang"], r["doc_id"] or "", r["x"]))
-    centres, owner, threshold = [], [], np.zeros(len(langs))
+    rows = sorted(picked.select(F.col("doc_id").cast("string").alias("doc_id"), "lang", "text").mapInArrow(vectors, "doc_id string, lang string, x binary, band int, short array<string>").collect(), key=lambda r: (r["lang"], r["doc_id"] or "", r["x"]))
+    centres, owner, threshold = [], [], np.zeros((len(langs), BANDS))
     for k, lang in enumerate(langs):
-        own = [np.frombuffer(r["x"], np.float16).astype(np.float32) for r in rows if r["lang"] == lang][: 4 * per]
-        if not own:
+        mine = [r for r in rows if r["lang"] == lang][: 4 * per]
+        if not mine:
             continue
-        x = np.stack(own)
+        x = np.stack([np.frombuffer(r["x"], np.float16).astype(np.float32) for r in mine])
         c = cluster(x, clusters)
         centres.append(c)
         owner += [k] * len(c)
-        threshold[k] = REJECT_SHARE * float(np.quantile((x @ c.T).max(axis=1), 0.01))
+        threshold[k] = _thresholds((x @ c.T).max(axis=1), np.array([r["band"] for r in mine]), [p for r in mine for p in r["short"]], c, idf)
     if not centres:
-        return CentroidModel([], idf, np.zeros((0, bins), np.float32), np.zeros(0, np.int64), np.zeros(0))
+        return CentroidModel([], idf, np.zeros((0, bins), np.float32), np.zeros(0, np.int64), np.zeros((0, BANDS)))
     return CentroidModel(langs, idf, np.concatenate(centres), np.array(owner), threshold, fallback=max(range(len(langs)), key=lambda k: (sizes[langs[k]], -k)))
 
 
@@ -181,7 +237,7 @@ def identify(docs: DataFrame, model: CentroidModel, bins: int = BINS) -> DataFra
         for texts, has_letter in column_batches:
             langs = np.full(len(texts), UNKNOWN, object)
             scores, reject = np.zeros(len(texts)), np.ones(len(texts), bool)
-            for lo, hi, data, starts in scan.blocks(pa.Array.from_pandas(texts, type=pa.string())):
+            for lo, hi, data, starts in _blocks(pa.Array.from_pandas(texts, type=pa.string())):
                 if m.langs:
                     k, s, ok = m.predict(bin_counts(data, starts, bins))
                     names = np.array(m.langs, object)[k]
@@ -197,7 +253,9 @@ def identify(docs: DataFrame, model: CentroidModel, bins: int = BINS) -> DataFra
         for langs, scores, reject in predict(batches):
             yield pd.DataFrame({"lang_pred": langs, "lang_score": scores, "lang_rejected": reject})
 
-    return docs.withColumn("_p", predicted(F.coalesce(F.col("text").cast("string"), F.lit("")), letter)).select(*[F.col(f"`{c}`") for c in docs.columns if c not in ("lang_pred", "lang_score", "lang_rejected", "_p")], "_p.lang_pred", "_p.lang_score", "_p.lang_rejected")
+    inner = fresh_names(docs, "found")[0]
+    rows = docs.withColumn(inner, predicted(F.coalesce(F.col("text").cast("string"), F.lit("")), letter))
+    return rows.select(*[F.col(f"`{c}`") for c in docs.columns if c not in ("lang_pred", "lang_score", "lang_rejected")], *[F.col(inner)[c].alias(c) for c in ("lang_pred", "lang_score", "lang_rejected")])
 
 
 def held_out(modulus: int, remainder: int):
