@@ -139,6 +139,10 @@ def test_decontamination_both_ways_and_offsets(spark):
     a = sorted(map(tuple, decontam.scan_documents(df, benchmark).drop("spans").collect()), key=str)
     b = sorted(map(tuple, decontam.scan_documents(df, benchmark, max_automaton_bytes=1).drop("spans").collect()), key=str)
     assert [(x[0], x[1], x[2], list(x[3])) for x in a] == [(x[0], x[1], x[2], list(x[3])) for x in b]
+    few, many = (sorted((r["doc_id"], str(r["spans"])) for r in decontam.scan_documents(df, benchmark, max_automaton_bytes=n).collect()) for n in (1 << 28, 3000))
+    assert few == many and sum("begin" in s for _, s in many) == 3  # offsets at any number of slices
+    assert len(list(decontam.slices_of([(7, item), (8, "short item")], 10, 3000))) == 2
+    assert len(list(decontam.slices_of([(7, item), (8, "short item")], 10, 1))) == 3
     span = decontam.scan_documents(df, benchmark).filter("doc_id = 1").first()["spans"]
     text = rows[0][1].encode()
     assert [text[s["begin"] : s["end"]].decode() for s in span] == [item.upper()]
@@ -167,10 +171,14 @@ def test_exact_dedup_with_colliding_keys(spark, key_hex):
 
 def test_exact_dedup_stream_keeps_state_between_drains(spark):
     folder = storage.shared_dir(spark, "test")
-    first = exact_stream.inbox_rows(table(spark, [(5, "one"), (6, "two")]), "doc_id", "text", 64)
+
+    def inbox(rows):
+        return exact_stream.inbox_rows(exact_stream.located(table(spark, rows))[0], "doc_id", "text", 64, "_file", "_row")
+
+    first = inbox([(5, "one"), (6, "two")])
     first.write.parquet(f"{folder}/inbox")
     exact_stream.drain(spark, f"{folder}/inbox", first.schema, folder)
-    exact_stream.inbox_rows(table(spark, [(2, "one")]), "doc_id", "text", 64).write.mode("append").parquet(f"{folder}/inbox")
+    inbox([(2, "one")]).write.mode("append").parquet(f"{folder}/inbox")
     state = exact_stream.drain(spark, f"{folder}/inbox", first.schema, folder).filter("group_size > 1").collect()
     assert [(-r["keep"]["neg_id"], r["group_size"]) for r in state] == [(2, 2)]
 
@@ -307,15 +315,16 @@ def near_copies(n, seed=2):
 def test_jaccard_components_of_a_hot_group(spark, region_sets, max_levels):
     rows = near_copies(90) + [(200, "a b"), (201, "A  b"), (202, "a b c"), (203, None), (204, ""), (205, "one two three four"), (206, "one two three four")]
     df = table(spark, rows)
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(df, region_sets=region_sets, max_levels=max_levels).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(df, width=4, percent=85, region_sets=region_sets, max_levels=max_levels).collect()}
     assert got == components_by_hand(texts_of(df))
 
 
 def test_jaccard_components_of_documents(spark, docs):
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(docs).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(docs, width=4, percent=85).collect()}
     assert got == components_by_hand(texts_of(docs))
     assert jaccard_join.jaccard_components(docs.limit(0)).count() == 0
     odd = jaccard_join.jaccard_components(table(spark, [(None, "p q r s t"), (4, "p q r s t"), (None, None)])).collect()
+    assert len(odd) == 3
     assert sorted((r["doc_id"] or -1, r["component_id"] or -1) for r in odd) == [(-1, -1), (-1, 4), (4, 4)]
 
 
@@ -323,7 +332,7 @@ def test_region_join_finds_every_link():
     rng = np.random.default_rng(4)
     base = np.unique(rng.integers(0, 1 << 40, 60).astype(np.uint64))
     sets = [np.unique(np.concatenate([np.delete(base, rng.integers(0, len(base), int(rng.integers(0, 6)))), rng.integers(0, 1 << 40, int(rng.integers(0, 5))).astype(np.uint64)])) for _ in range(60)]
-    links = jaccard_join.join_region(sets, np.zeros(60, bool))
+    links = jaccard_join.join_region(sets, np.zeros(60, bool), 85)
 
     def classes(pairs):
         up = list(range(60))
@@ -446,7 +455,7 @@ def test_pipeline_against_brute_force(spark, docs):
         k = re.sub(r"[\x20\x09-\x0D]", "", text[i])
         best[k] = min(best.get(k, (1, 0)), (-len(text[i]), i))
     assert kept["exact_dedup"] == {i for _, i in best.values()}
-    comp = components_by_hand({i: text[i] for i in kept["exact_dedup"]})
+    comp = components_by_hand({i: text[i] for i in kept["exact_dedup"]}, 80, 5)
     assert kept["near_dedup"] == {i for i, (_, c_) in comp.items() if i == c_}
     items = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{SMALL}/benchmark.parquet").collect()]
     windows = {w for _, t in items for w in decontam.item_windows((t or "").encode())}
