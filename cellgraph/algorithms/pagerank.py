@@ -44,17 +44,21 @@ def pagerank_fixed_point(grid: EdgeGrid, rounds: int = 10, config: EngineConfig
     return run(grid, program, config, rounds=rounds, resident=resident)
 
 
-def pagerank_delta(grid: EdgeGrid, epsilon: float = 1e-12, damping: float = DAMPING, config: EngineConfig | None = None, max_rounds: int = 200) -> Result:
-    """Residual form: a vertex sends on only what it newly got, so bands whose residuals have
-    all fallen under ``epsilon / n`` are skipped without losing mass already delivered.
-    ``attr`` is a struct (rank, res)."""
+def pagerank_delta(grid: EdgeGrid, epsilon: float = 1e-12, damping: float = DAMPING, config: EngineConfig | None = None, rounds: int | None = None) -> Result:
+    """Residual form: a vertex sends on only what it has got since it last sent, so bands whose
+    residuals are all under ``epsilon / n`` are skipped.  A residual that isn't sent is kept
+    and adds up, so no mass is lost: ranks are within ``epsilon / (1 - damping)`` in
+    sum of those of endless rounds.  ``attr`` is a struct (rank, res); without ``rounds`` it
+    runs until no residual is large enough, which takes ``epsilon`` above 0."""
     n = max(1, grid.n)
     start = F.struct(F.lit((1 - damping) / n).alias("rank"), F.lit((1 - damping) / n).alias("res"))
+    ready = lambda a: a["res"] > epsilon / n
+    got = lambda inc: F.coalesce(inc, F.lit(0.0))
     program = VertexProgram(
         "pagerank_delta", lambda v: with_attr(v, start), lambda a, d: damping * a["res"] / d, F.sum,
-        lambda a, inc: F.struct((a["rank"] + F.coalesce(inc, F.lit(0.0))).alias("rank"), F.coalesce(inc, F.lit(0.0)).alias("res")),
-        True, sends=lambda a: (F.col("out_deg") > 0) & (a["res"] > epsilon / n), changed=lambda old, new: new["res"] > epsilon / n, kind="global",
+        lambda a, inc: F.struct((a["rank"] + got(inc)).alias("rank"), (F.when(ready(a), 0.0).otherwise(a["res"]) + got(inc)).alias("res")),
+        True, sends=lambda a: (F.col("out_deg") > 0) & ready(a), changed=lambda old, new: ready(new),
     )
-    from dataclasses import replace
-
-    return run(grid, program, replace(config or EngineConfig(strategy="resident"), max_rounds=max_rounds))
+    if rounds is None and epsilon <= 0:
+        raise ValueError("an endless run: give epsilon above 0 or a number of rounds")
+    return run(grid, program, config or EngineConfig(strategy="resident"), rounds=rounds)

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -37,15 +35,17 @@ def bfs_parents(grid: EdgeGrid, result: Result) -> DataFrame:
     return grid.cells.select("src", "dst").join(source, "src").join(target, "dst").filter("dd = ds + 1").groupBy(F.col("dst").alias("vid")).agg(F.min("src").alias("parent"))
 
 
-def bfs_sql(spark: SparkSession, edges: DataFrame, root: int, limit: int = 200) -> DataFrame:
-    """The same depths by recursive SQL, as an independent check on small graphs."""
+def bfs_sql(spark: SparkSession, edges: DataFrame, root: int, limit: int = 100) -> DataFrame:
+    """The same depths by recursive SQL, as an independent check on small graphs.  A path that
+    is walked ``limit`` steps without meeting its end raises an error."""
     edges.createOrReplaceTempView("cellgraph_bfs_edges")
     return spark.sql(
         f"""WITH RECURSIVE walk(vid, depth) MAX RECURSION LEVEL {limit + 2} AS (
               SELECT CAST({root} AS BIGINT), CAST(0 AS BIGINT)
               UNION ALL
               SELECT DISTINCT e.dst, w.depth + 1 FROM walk w JOIN cellgraph_bfs_edges e ON e.src = w.vid WHERE w.depth < {limit})
-            SELECT vid, min(depth) AS depth FROM walk GROUP BY vid"""
+            SELECT vid, if(depth < {limit}, depth, CAST(raise_error('the graph is deeper than {limit} steps') AS BIGINT)) AS depth
+            FROM (SELECT vid, min(depth) AS depth FROM walk GROUP BY vid)"""
     )
 
 
@@ -104,10 +104,8 @@ def sssp(grid: EdgeGrid, weights: DataFrame, root: int = 1, max_rounds: int = 10
         better = weights.join(front, "src").groupBy(F.col("dst").alias("vid")).agg(F.min(F.col("dist") + F.col("w")).alias("inc"))
         nxt = state.join(better, "vid", "left").select("vid", F.least("dist", "inc").alias("dist"), F.coalesce(F.col("inc") < F.col("dist"), F.col("inc").isNotNull()).alias("changed"))
         state = write_table(nxt, f"{folder}/r{k}")
+        if k > 1:
+            delete(spark, f"{folder}/r{k - 2}")
         if state.filter("changed").limit(1).count() == 0:
-            break
-    return state.select("vid", "dist")
-
-
-def default_config(config: EngineConfig | None, **changes) -> EngineConfig:
-    return replace(config or EngineConfig(), **changes)
+            return state.select("vid", "dist")
+    raise RuntimeError(f"distances not settled after {max_rounds} rounds")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import graph_queries  # noqa: F401  (these modules register their queries)
+from . import experiments, graph_queries  # noqa: F401  (these modules register their queries)
 from .registry import ORACLES, QUERIES
 from .relops import functions, relational  # noqa: F401
 from .streaming import edges  # noqa: F401

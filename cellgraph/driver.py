@@ -14,7 +14,7 @@ from .planner import Plan, choose_strategy, sizes_of
 from .prep.densify import to_raw
 from .prep.grid import EdgeGrid, build_grid
 from .program import VertexProgram
-from .storage import delete, work_dir, write_table
+from .storage import delete, forget, work_dir, write_bucketed, write_table
 
 
 @dataclass
@@ -34,12 +34,22 @@ class Result:
 
 def step(r: Round, strategy: str) -> DataFrame:
     """The state after one synchronous round; the old state isn't touched."""
-    inc = STRATEGIES[strategy](r)
+    parts = STRATEGIES[strategy](r)
     p = r.program
-    met = r.state.join(inc, r.state["vid"] == inc["dst"], "left")
+    if len(parts) > 1 and p.combine(F.lit(None), F.lit(None)) is None:
+        every = parts[0]
+        for part in parts[1:]:
+            every = every.unionByName(part)
+        parts = [r.fold(every, "dst", value="inc")]
+    met, inc = r.state, None
+    for k, part in enumerate(parts):
+        part = part.select(F.col("dst").alias(f"_d{k}"), F.col("inc").alias(f"_i{k}"))
+        met = met.join(r.near(part), met["vid"] == part[f"_d{k}"], "left")
+        inc = F.col(f"_i{k}") if inc is None else p.combine(inc, F.col(f"_i{k}"))
     if p.extra:
         met = met.crossJoin(F.broadcast(p.extra(r.state)))  # one row
     old = F.col("attr")
+    met = met.withColumn("inc", inc)
     new = p.apply(old, F.col("inc")) if not p.apply_extra else p.apply_extra(F.col("inc"), F.col("extra"))
     return met.select("vid", "band", "out_deg", old.alias("old"), new.alias("attr")).select("vid", "band", "out_deg", "attr", p.differs(F.col("old"), F.col("attr")).alias("changed"))
 
@@ -49,14 +59,22 @@ def active_bands(state: DataFrame) -> list[int]:
     return sorted(r["band"] for r in state.filter("changed").select("band").distinct().collect())
 
 
+def resident_set(grid: EdgeGrid, count: int, choice: str) -> list[int]:
+    """``count`` bands to keep in memory: the first, or those that most edges read."""
+    if choice == "first" or count >= grid.bands or not count:
+        return list(range(1, min(count, grid.bands) + 1))
+    heavy = grid.vertices.groupBy("band").agg(F.sum("out_deg").alias("w")).collect()
+    return sorted(b for _, b in sorted((-r["w"], r["band"]) for r in heavy)[:count])
+
+
 def run(grid: EdgeGrid, program: VertexProgram, config: EngineConfig | None = None, rounds: int | None = None, resident: int | None = None, tolerance: float | None = None, log: bool = False) -> Result:
     """Run ``rounds`` rounds, or until no band is active (``rounds`` None), or until the
     summed change of a numeric attribute falls below ``tolerance``.
 
-    The state is written every ``checkpoint_every`` rounds and at the end.  A round reads it
-    two to four times, so plans of uncut rounds grow by that factor each; one round a table
-    keeps every plan small for a write of the state, a few hundredths of what the edges cost.  Otherwise each round is written and one small aggregate
-    decides what the next one reads.
+    Each round's state is written, bucketed by id as the grid is: a round reads it twice or
+    more, so uncut plans would grow by that factor each, and the write costs a few hundredths
+    of what the edges do.  Only the last states are kept.  A run until quiet that isn't after
+    ``max_rounds`` raises an error.
     """
     config = config or EngineConfig()
     spark = grid.cells.sparkSession
@@ -65,38 +83,51 @@ def run(grid: EdgeGrid, program: VertexProgram, config: EngineConfig | None = No
         sizes = sizes_of(grid, config)
         plan = choose_strategy(sizes, config.budget_bytes if config.budget_bytes is not None else 2 * sizes.state + sizes.edges, grid.bands)
         strategy, resident = plan.strategy, plan.resident
+        if plan.cached_edge_bytes and sizes.edges:
+            config = replace(config, cached_bands=int(plan.cached_edge_bytes * grid.bands // sizes.edges))
     if resident is None:
         resident = grid.bands // 2
+    kept_bands = resident_set(grid, resident, config.resident_choice)
     folder = work_dir(spark, f"run-{program.name}")
-    state = write_table(program.init(grid.vertices), f"{folder}/r0")
-    skip = (program.monotone if config.skip_inactive is None else config.skip_inactive) and strategy in BANDED
+    paths: list[str] = []
+
+    def save(state: DataFrame, number: int) -> DataFrame:
+        paths.append(f"{folder}/r{number}")
+        return write_bucketed(state, paths[-1], "vid", grid.buckets) if grid.buckets else write_table(state, paths[-1])
+
+    state = save(program.init(grid.vertices), 0)
+    skip = (program.monotone and program.kind != "global" if config.skip_inactive is None else config.skip_inactive) and strategy in BANDED
     if skip and not program.monotone:
         raise ValueError(f"{program.name} restarts its sums, so no band can be skipped")
     kept: dict = {}
     steps, entries = 0, []
-    cells_total = grid.cells.select("dst_band", "src_band").distinct() if log else None
-    by_source = {r["src_band"]: r["c"] for r in cells_total.groupBy("src_band").agg(F.count("*").alias("c")).collect()} if log else {}
-    targeted = rounds is None or tolerance is not None
+    by_source = {r["src_band"]: r["c"] for r in grid.cells.select("dst_band", "src_band").distinct().groupBy("src_band").agg(F.count("*").alias("c")).collect()} if log else {}
+    targeted = rounds is None and tolerance is None
     active = active_bands(state) if targeted or skip else None
-    while steps < (config.max_rounds if rounds is None else rounds):
+    while rounds is None or steps < rounds:
         if targeted and not active:
             break
+        if rounds is None and steps >= config.max_rounds:
+            raise RuntimeError(f"{program.name} is not settled after {steps} rounds")
         began = time.time()
         last = state
-        state = step(Round(grid, program, config, state, active if skip else None, resident, kept), strategy)
+        r = Round(grid, program, config, state, active if skip else None, kept_bands, kept, f"{folder}/t{steps}")
+        state = save(step(r, strategy), steps + 1)
         steps += 1
-        if targeted or skip or log or steps == rounds or steps % config.checkpoint_every == 0:
-            state = write_table(state, f"{folder}/r{steps}")
-            if targeted and steps > 2 and tolerance is None:
-                delete(spark, f"{folder}/r{steps - 2}")
-        if log:
-            entries.append({"round": steps, "active_bands": len(active) if active is not None else grid.bands, "cells_read": sum(by_source.get(b, 0) for b in active) if skip else sum(by_source.values()), "cells_skipped": sum(c for b, c in by_source.items() if skip and b not in active), "changed": state.filter("changed").count(), "secs": time.time() - began})
+        delete(spark, f"{folder}/t{steps - 1}")
+        if log or config.observe:
+            entries.append({"round": steps, "active_bands": len(active) if active is not None else grid.bands, "cells_read": sum(by_source.get(b, 0) for b in active) if skip else sum(by_source.values()), "cells_skipped": sum(c for b, c in by_source.items() if skip and b not in active), "secs": time.time() - began, **r.counts()})
+            entries[-1]["changed"] = state.filter("changed").count() if log else None
         if targeted or skip:
             active = active_bands(state)
+        moved = None
         if tolerance is not None:
             moved = state.join(last.select("vid", F.col("attr").alias("was")), "vid").agg(F.sum(F.abs(F.col("attr") - F.col("was"))).alias("l1")).first()["l1"]
-            if moved is None or moved < tolerance:
-                break
+            if log:
+                entries[-1]["l1"] = moved
+        forget(spark, paths.pop(0))
+        if tolerance is not None and (moved is None or moved < tolerance):
+            break
     for table in kept.values():
         if isinstance(table, DataFrame) and table.is_cached:
             table.unpersist()

@@ -106,7 +106,7 @@ def grid_pivot(spark, sf_dir):
 
 _PR = {
     "resident": ("resident", {}, None),
-    "resident_merge_sync": ("resident", {"sync": "merge", "parallel": "coarse"}, None),
+    "resident_merge_sync": ("resident", {"sync": "merge"}, None),
     "staged": ("staged", {"materialize_hubs": True}, None),
     "staged_fused": ("staged", {}, None),
     "hybrid_q0": ("hybrid", {}, 0),
@@ -125,6 +125,14 @@ _PR = {
     "dst_coarse": ("resident", {"parallel": "coarse"}, None),
     "unsorted_fine": ("resident", {"order": "none"}, None),
     "auto": ("auto", {}, None),
+    "resident_cached": ("resident", {"cached_bands": BANDS}, None),
+    "resident_part_cached": ("resident", {"cached_bands": BANDS // 2}, None),
+    "resident_row_order": ("resident", {"cell_order": "row"}, None),
+    "resident_col_order": ("resident", {"cell_order": "col"}, None),
+    "resident_large_state": ("resident", {"broadcast_limit_bytes": 1}, None),
+    "hybrid_heavy": ("hybrid", {"resident_choice": "heavy"}, BANDS // 2),
+    "hybrid_hubs": ("hybrid", {"materialize_hubs": True}, BANDS // 2),
+    "swap_kept_bands": ("swap", {"cached_bands": BANDS // 2}, None),
 }
 
 
@@ -184,7 +192,7 @@ def pagerank_tolerance(spark, sf_dir):
 @query("pagerank_delta_custday", sqlgen.pagerank("custday", 20, start="0.15::DOUBLE"))
 def pagerank_residuals(spark, sf_dir):
     """Twenty rounds of the residual form: as many full rounds from the base rank."""
-    result = pagerank_delta(grid_of(spark, sf_dir, "custday"), 0.0, config=config_for("resident"), max_rounds=20)
+    result = pagerank_delta(grid_of(spark, sf_dir, "custday"), 0.0, config=config_for("resident"), rounds=20)
     return result.state.select("vid", F.round("attr.rank", 8).alias("rank"))
 
 
@@ -279,11 +287,16 @@ def max_neighbour(spark, sf_dir):
     return run(grid_of(spark, sf_dir, "custday"), traversal.max_neighbour_program(), config_for("hybrid"), rounds=1).values()
 
 
-@query("sssp_custhigh", sqlgen.bfs("custhigh", "SELECT v.vid, CAST(depth * 2 AS DOUBLE) AS dist FROM v LEFT JOIN b USING (vid)"))
+_WEIGHT = "1 + (src * 7 + dst * 3) % 5"
+
+
+@query("sssp_custhigh", f"""{sqlgen.base("custhigh", recursive=True)},
+walk(vid, dist) AS (SELECT CAST(1 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT e.dst, dist + {_WEIGHT} FROM walk JOIN e ON e.src = walk.vid WHERE dist + {_WEIGHT} <= 120)
+SELECT v.vid, CAST(min(dist) AS DOUBLE) AS dist FROM v LEFT JOIN walk USING (vid) GROUP BY v.vid""")
 def sssp_query(spark, sf_dir):
-    """Every edge weighs two, so distances are twice the depths."""
+    """Weights from 1 to 5 by the ends of an edge."""
     grid = grid_of(spark, sf_dir, "custhigh")
-    return traversal.sssp(grid, grid.cells.select("src", "dst", F.lit(2.0).alias("w")))
+    return traversal.sssp(grid, grid.cells.select("src", "dst", F.expr(_WEIGHT).cast("double").alias("w")))
 
 
 # --------------------------------------------------------------------- cost and schedule
