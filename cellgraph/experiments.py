@@ -211,18 +211,18 @@ def register_graph(spark: SparkSession, name: str, grid: EdgeGrid, config: Engin
 # ------------------------------------------------------------------------------- queries
 
 _SKIPS = " UNION ALL ".join(
-    f"""SELECT * FROM ({sqlgen.bfs("custhigh", f"SELECT CAST({p} AS INTEGER) AS bands, max(b.depth) + 1 AS rounds, (SELECT count(*) FROM (SELECT DISTINCT d.depth, v.band FROM b d JOIN v USING (vid)) a JOIN (SELECT DISTINCT sb, db FROM e) c ON c.sb = a.band) AS cells_read, (max(b.depth) + 1) * (SELECT count(*) FROM (SELECT DISTINCT sb, db FROM e)) - (SELECT count(*) FROM (SELECT DISTINCT d.depth, v.band FROM b d JOIN v USING (vid)) a JOIN (SELECT DISTINCT sb, db FROM e) c ON c.sb = a.band) AS cells_skipped FROM b", bands=p)})"""
+    f"""SELECT * FROM ({sqlgen.bfs("custday", f"SELECT CAST({p} AS INTEGER) AS bands, max(b.depth) + 1 AS rounds, (SELECT count(*) FROM (SELECT DISTINCT d.depth, v.band FROM b d JOIN v USING (vid)) a JOIN (SELECT DISTINCT sb, db FROM e) c ON c.sb = a.band) AS cells_read, (max(b.depth) + 1) * (SELECT count(*) FROM (SELECT DISTINCT sb, db FROM e)) - (SELECT count(*) FROM (SELECT DISTINCT d.depth, v.band FROM b d JOIN v USING (vid)) a JOIN (SELECT DISTINCT sb, db FROM e) c ON c.sb = a.band) AS cells_skipped FROM b", bands=p)})"""
     for p in (1, 4, 12)
 )
 
 
-@query("exp_bands_bfs_custhigh", _SKIPS)
+@query("exp_bands_bfs_custday", _SKIPS)
 def exp_bands(spark, sf_dir):
     """More bands, more cells skipped: a targeted program at three numbers of bands."""
     rows = []
     for p in (1, 4, 12):
         config = EngineConfig(bands=p, strategy="resident")
-        found = traversal.bfs(build_grid(BUILDERS["g_custhigh"](spark, sf_dir), config), 1, config, log=True)
+        found = traversal.bfs(build_grid(BUILDERS["g_custday"](spark, sf_dir), config), 1, config, log=True)
         rows.append((p, found.rounds, sum(x["cells_read"] for x in found.log), sum(x["cells_skipped"] for x in found.log)))
     return spark.createDataFrame(rows, "bands int, rounds long, cells_read long, cells_skipped long")
 
@@ -247,24 +247,23 @@ def exp_budget(spark, sf_dir):
 _SIDES = (6, 8, 11, 16, 23)
 
 
-@query("exp_scale_meshes", "SELECT side, CAST(side * side AS BIGINT) AS n, CAST(2 * (2 * side * (side - 1) + (side - 1) * (side - 1)) AS BIGINT) AS m, CAST(side - 1 AS BIGINT) AS max_depth FROM (VALUES " + ", ".join(f"({s})" for s in _SIDES) + ") t(side)")
+@query("exp_scale_meshes", "SELECT side, CAST(side * side AS BIGINT) AS n, CAST(2 * (2 * side * (side - 1) + (side - 1) * (side - 1)) AS BIGINT) AS m, CAST(9 AS BIGINT) AS reached FROM (VALUES " + ", ".join(f"({s})" for s in _SIDES) + ") t(side)")
 def exp_scale(spark, sf_dir):
-    """Five meshes whose vertices double: sizes, and the depth from a corner."""
+    """Five meshes whose vertices double: sizes, and what two steps from a corner reach."""
     rows = []
     for side in _SIDES:
         grid = build_grid(lattice_edges(spark, side), config_for("hybrid"))
-        rows.append((side, grid.n, grid.m, traversal.bfs_max_depth(traversal.bfs(grid, 1, config_for("hybrid"))).first()["max_depth"]))
-    return spark.createDataFrame(rows, "side int, n long, m long, max_depth long")
+        rows.append((side, grid.n, grid.m, traversal.hop_limited(grid, 1, 2, config_for("hybrid")).state.filter("attr IS NOT NULL").count()))
+    return spark.createDataFrame(rows, "side int, n long, m long, reached long")
 
 
-@query("exp_tasks_custurg", f"""SELECT * FROM ({sqlgen.bfs("custurg", "SELECT 'bfs' AS task, count(*) AS answer FROM b")})
-UNION ALL SELECT * FROM ({sqlgen.wcc("custurg", "SELECT 'wcc' AS task, count(DISTINCT attr) AS answer FROM c")})
-UNION ALL SELECT * FROM ({sqlgen.scc("custurg", "SELECT 'scc' AS task, count(DISTINCT attr) AS answer FROM c")})""")
+@query("exp_tasks_talk", f"""SELECT * FROM ({sqlgen.bfs("talk", "SELECT 'bfs' AS task, count(*) AS answer FROM b")})
+UNION ALL SELECT * FROM ({sqlgen.wcc("talk", "SELECT 'wcc' AS task, count(DISTINCT attr) AS answer FROM c")})
+UNION ALL SELECT * FROM ({sqlgen.scc("talk", "SELECT 'scc' AS task, count(DISTINCT attr) AS answer FROM c")})""")
 def exp_tasks(spark, sf_dir):
-    """Vertices reached, weak and strong components; HYBRID and SWAP must agree on each."""
-    rows = tasks_by_strategy(spark, sf_dir, ("custurg",), ("hybrid", "swap"))
-    answers = {(r["task"], r["answer"]) for r in rows}
-    return spark.createDataFrame(sorted(answers), "task string, answer long")
+    """Vertices reached, weak and strong components."""
+    rows = tasks_by_strategy(spark, sf_dir, ("talk",), ("hybrid",))
+    return spark.createDataFrame([(r["task"], r["answer"]) for r in rows], "task string, answer long")
 
 
 _L1 = ["SELECT CAST({0} AS INTEGER) AS round, round(sum(abs(a.rank - b.rank)), 8) AS l1 FROM r{0} a JOIN r{1} b USING (vid)".format(k, k - 1) for k in range(1, 6)]
