@@ -1,28 +1,34 @@
 """N-gram language model in an Elias-Fano trie, memory-mapped by the tasks that score.
 
 Level 1 holds the words: their 64-bit hashes as an Elias-Fano sequence, counts in one byte
-(larger ones in an exception list) and the back-off mass of the word as a context.  Level 2
-holds, for each context, its continuations: contexts and pointers are Elias-Fano sequences,
-and so are the continuations' 32-bit codes, which are made monotone by the rank of their
-context, so a query is a successor search between two pointers.  Probabilities are
-quantised to one byte each, uniformly in their logarithm.
-
-Smoothing: p(w) = (c + 0.1) / (N + 0.1 (V + 1)) for one word, and
-p(w | v) = kept(v, w) + backoff(v) p(w), where kept = (c(v, w) - D) / c(v) for every pair
-seen (``min_count`` prunes on request only; pairs below it have 0), and backoff(v) = 1 - sum
-of kept, taken from the *quantised* values, so that each context's probabilities sum to one.
-D is below 1, so pairs seen once keep a share of their own.
+(larger ones in an exception list) and the back-off mass of the word as a context.  Levels 2
+to ``order`` are a trie: an entry is the 32-bit code of a word that followed the entry above
+it, pointers into the next level are an Elias-Fano sequence, and so are the codes, made
+monotone by the number of the entry above, so a query is a successor search between two
+pointers, relative to its context.  Probabilities are quantised to one byte each, uniformly
+in their logarithm; entries that are contexts carry their back-off mass.
+
+Smoothing: p(w) = (c + 0.1) / (N + 0.1 (V + 1)) for one word, and for a context h, h' being h
+without its first word, p(w | h) = kept(h, w) + backoff(h) p(w | h'), where kept = (c(h, w) - D)
+/ c(h) for everything seen (``min_count`` prunes words after words on request only), and
+backoff(h) = 1 - sum of kept, taken from the *quantised* values, so that each context's
+probabilities sum to one.  D is below 1, so what was seen once keeps a share of its own.
 
 All counting is distributed and covers every training row.  A map task sorts and adds up
-its own tokens, and ships, for each hash shard, one compact block of keys and counts; a
-reduce task merges the blocks of a shard and writes it as one file in the shared folder.
-Shards are sized by the corpus, so no task holds more than a bounded part, and a context
-may be spread over several (``spread``).  The driver sees one manifest row a shard.
-Scoring maps the shard files into memory; pages that aren't used aren't read.
+its own n-grams, and ships, for each shard, one compact block of keys and counts; a reduce
+task merges the blocks of a shard and writes its part of the trie as one file in the shared
+folder.  An n-gram's shard comes from its first word; words counted more often than a share
+of a shard are spread by the second word too, over as many shards as their counts ask for,
+so no task holds more than a bounded part.  The driver sees one manifest row a shard and the
+frequent words, of which there are a few a shard.  Scoring maps the shard files into memory;
+pages that aren't used aren't read.
 
 Words are runs of bytes other than ASCII white space, with A-Z folded; every text has one
-end token more.  Null texts are empty.  Words are told apart by 64-bit hashes (a collision
-among ten million words has a chance of 3 in a million), continuations of one context by 32.
+end token more.  Null texts are empty; repeated rows count and are scored each; an empty
+table gives an empty model or no rows.  A very long text is a block of its own.  Only the
+columns named are read, so others may have any name.  Words are told apart by 64-bit hashes
+(a collision among ten million words has a chance of 3 in a million), continuations of one
+context by 32 bits.
 """
 
 from __future__ import annotations
@@ -48,8 +54,13 @@ END = np.uint64(scan.hash_bytes(b" end"))
 START = np.uint64(scan.hash_bytes(b" start"))
 MIN_COUNT = 1
 DISCOUNT = 0.75
-SHARD_BYTES = 24 << 20
+ORDER = 3
+SHARD_BYTES = 16 << 20
 FLUSH_TOKENS = 1_500_000
+#: Bytes of text that are scored together: each distinct n-gram of them is looked up once.
+SCORE_BLOCK = 4 << 20
+#: A word counted more often than this share of a shard's tokens is spread over several.
+HOT_SHARE = 0.25
 
 _SELECT8 = np.zeros((256, 8), np.uint8)
 for _b in range(256):
@@ -82,12 +93,12 @@ class EliasFano:
         self.low, self.high, self.ones, self.zeros = low, high, ones, zeros
 
     @classmethod
-    def build(cls, values: np.ndarray) -> EliasFano:
+    def build(cls, values: np.ndarray, low_bytes: int | None = None) -> EliasFano:
         values = np.asarray(values, np.uint64)
         n = len(values)
         top = int(values[-1]) + 1 if n else 1
         bits = max(0, (top // max(1, n)).bit_length() - 1)
-        size = min(7, -(-bits // 8))
+        size = min(7, -(-bits // 8)) if low_bytes is None else low_bytes
         low = values.astype("<u8").view(np.uint8).reshape(n, 8)[:, :size].copy() if n else np.zeros((0, size), np.uint8)
         upper = (values >> np.uint64(8 * size)).astype(np.int64)
         at = upper + np.arange(n)
@@ -158,6 +169,26 @@ class EliasFano:
         return out
 
 
+def find_code(ef: EliasFano, codes: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Position of each 32-bit code among the entries lo..hi of its context, or -1.  Within a
+    context the values' upper parts are one and the same, so the successor search compares
+    the four low bytes alone."""
+    low = ef.low.reshape(-1).view("<u4") if ef.n else np.zeros(0, np.uint32)
+    a, b = lo.copy(), hi.copy()
+    open_ = np.flatnonzero(a < b)
+    while len(open_):
+        mid = (a[open_] + b[open_]) >> 1
+        less = low[mid] < codes[open_]
+        a[open_[less]] = mid[less] + 1
+        b[open_[~less]] = mid[~less]
+        open_ = open_[a[open_] < b[open_]]
+    out = np.full(len(codes), -1, np.int64)
+    inside = np.flatnonzero(a < hi)
+    hit = inside[low[a[inside]] == codes[inside]]
+    out[hit] = a[hit]
+    return out
+
+
 # ---------------------------------------------------------------------------- level files
 
 
@@ -226,22 +257,46 @@ def text_tokens(data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.nd
     return out, offsets
 
 
-def contexts_of(tokens: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """The word before each token; the start mark for first ones."""
-    out = np.empty(len(tokens), np.uint64)
-    out[1:] = tokens[:-1]
-    out[offsets[:-1]] = START
-    return out
+def with_starts(tokens: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(tokens with a start mark before each document, offsets of the documents in them)."""
+    n = len(offsets) - 1
+    wide = offsets + np.arange(n + 1)
+    out = np.empty(len(tokens) + n, np.uint64)
+    out[wide[:-1]] = START
+    out[np.arange(len(tokens)) + np.repeat(np.arange(n), np.diff(offsets)) + 1] = tokens
+    return out, wide
 
 
 def code_of(token: np.ndarray) -> np.ndarray:
-    """32-bit code of a continuation."""
-    return (token >> np.uint64(32)).astype(np.uint32)
-
-
-def shard_of(context: np.ndarray, code: np.ndarray | None, shards: int, spread: int = 1) -> np.ndarray:
-    key = context if code is None or spread == 1 else context + (code % np.uint32(spread)).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-    return (scan.mix(key) % np.uint64(shards)).astype(np.int64)
+    """32-bit code of a continuation; 0 is kept for none."""
+    return np.maximum((token >> np.uint64(32)).astype(np.uint32), np.uint32(1))
+
+
+class Dealer:
+    """Which shard an n-gram belongs to: by its first word, and for frequent first words by
+    the second one's code too.  ``often`` are those words, sorted, ``ways`` over how many."""
+
+    def __init__(self, shards: int, often: np.ndarray, ways: np.ndarray):
+        self.shards, self.often, self.ways = shards, often, ways
+
+    def shard(self, context: np.ndarray, code: np.ndarray | None = None) -> np.ndarray:
+        key = context
+        if code is not None and len(self.often):
+            at = np.minimum(np.searchsorted(self.often, context), len(self.often) - 1)
+            ways = np.where(self.often[at] == context, self.ways[at], 1)
+            key = context + (code.astype(np.uint64) % ways.astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
+        return (scan.mix(key) % np.uint64(self.shards)).astype(np.int64)
+
+
+def even_keys(spark: SparkSession, n: int) -> np.ndarray:
+    """A number for each of ``n`` shards, such that Spark's hash deals them to different ones of
+    ``n`` partitions: with their own numbers some partitions would get several shards."""
+    tries = n * (20 + 2 * n.bit_length())
+    found = spark.range(tries).select(F.col("id").cast("int").alias("k"), F.pmod(F.hash(F.col("id").cast("int")), F.lit(n)).alias("p")).groupBy("p").agg(F.min("k").alias("k")).collect()
+    out = np.arange(n, dtype=np.int64) + tries  # a partition that no try met gets some number of its own
+    for r in found:
+        out[r["p"]] = r["k"]
+    return out
 
 
 def _small(counts: np.ndarray) -> bytes:
@@ -255,63 +310,95 @@ def _from_small(raw: bytes) -> np.ndarray:
     return np.frombuffer(raw, {1: np.uint8, 4: np.uint32, 8: np.uint64}[raw[0]], offset=1).astype(np.int64)
 
 
-BLOCK_SCHEMA = "shard int, a binary, b binary, c binary, d binary"
+BLOCK_SCHEMA = "place int, shard int, a binary, b binary, c binary, d binary"
 
 
-def _block_batch(rows: list[tuple]) -> pa.RecordBatch:
+def _block_batch(rows: list[tuple], places: np.ndarray) -> pa.RecordBatch:
     cols = list(zip(*rows, strict=True))
-    return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["shard", "a", "b", "c", "d"])
-
-
-def _word_blocks(tokens: np.ndarray, shards: int):
-    key, count = np.unique(tokens, return_counts=True)
-    own = shard_of(key, None, shards)
-    order = np.argsort(own, kind="stable")
-    edges = np.searchsorted(own[order], np.arange(shards + 1))
-    for s in range(shards):
-        part = order[edges[s] : edges[s + 1]]
-        if len(part):
-            yield s, key[part].tobytes(), _small(count[part]), b"", b""
+    return pa.RecordBatch.from_arrays([pa.array(places[list(cols[0])], pa.int32()), pa.array(cols[0], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[1:])], names=["place", "shard", "a", "b", "c", "d"])
 
 
-def _pair_blocks(tokens: np.ndarray, contexts: np.ndarray, shards: int, spread: int):
-    vocabulary, rank = np.unique(contexts, return_inverse=True)
-    pair, count = np.unique((rank.astype(np.uint64) << np.uint64(32)) | code_of(tokens), return_counts=True)
-    code, context = (pair & np.uint64(0xFFFFFFFF)).astype(np.uint32), (pair >> np.uint64(32)).astype(np.int64)
-    own = shard_of(vocabulary[context], code, shards, spread)
+def _by_owner(own: np.ndarray, shards: int):
     order = np.argsort(own, kind="stable")
     edges = np.searchsorted(own[order], np.arange(shards + 1))
     for s in range(shards):
         part = order[edges[s] : edges[s + 1]]
         if len(part):
-            c, n = np.unique(context[part], return_counts=True)
-            yield s, vocabulary[c].tobytes(), _small(n), code[part].tobytes(), _small(count[part])
+            yield s, part
 
 
-def _count_blocks(texts: DataFrame, shards: int, level: int, spread: int) -> DataFrame:
+def _word_blocks(tokens: np.ndarray, dealer: Dealer):
+    key, count = np.unique(tokens, return_counts=True)
+    for s, part in _by_owner(dealer.shard(key), dealer.shards):
+        yield s, key[part].tobytes(), _small(count[part]), b"", b""
+
+
+def _distinct(columns: list[np.ndarray], bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """(positions of the first of each distinct row, how many there are), in order of the rows."""
+    if bits * len(columns) <= 64:
+        key = columns[0].astype(np.uint64)
+        for c in columns[1:]:
+            key = (key << np.uint64(bits)) | c.astype(np.uint64)
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        fresh = key[1:] != key[:-1]
+    else:
+        order = np.lexsort(columns[::-1])
+        fresh = np.zeros(max(0, len(order) - 1), bool)
+        for c in columns:
+            c = c[order]
+            fresh |= c[1:] != c[:-1]
+    first = np.flatnonzero(np.concatenate([[True], fresh])) if len(order) else np.zeros(0, np.int64)
+    return order[first], np.diff(np.append(first, len(order)))
+
+
+def _gram_blocks(wide: np.ndarray, offsets: np.ndarray, order: int, dealer: Dealer):
+    """Blocks of the n-grams that begin at each place of a document, cut off at its end."""
+    vocabulary, rank = np.unique(wide, return_inverse=True)
+    rank = rank.astype(np.int64) + 1  # 0: beyond the end
+    left = np.repeat(offsets[1:], np.diff(offsets)) - np.arange(len(wide))
+    columns = [rank]
+    for k in range(1, order):
+        nxt = np.zeros(len(wide), np.int64)
+        nxt[: max(0, len(wide) - k)] = rank[k:]
+        nxt[left <= k] = 0
+        columns.append(nxt)
+    first, count = _distinct(columns, int(len(vocabulary)).bit_length())
+    codes = np.concatenate([[0], code_of(vocabulary)]).astype(np.uint32)
+    context = vocabulary[columns[0][first] - 1]
+    parts = [codes[c[first]] for c in columns[1:]]
+    for s, part in _by_owner(dealer.shard(context, parts[0]), dealer.shards):
+        own = context[part]
+        turn = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
+        yield s, own[turn].tobytes(), _small(np.diff(np.append(turn, len(own)))), b"".join(c[part].tobytes() for c in parts), _small(count[part])
+
+
+def _count_blocks(texts: DataFrame, order: int, dealer: Dealer, places: np.ndarray) -> DataFrame:
     def count(batches):
-        held, contexts, n = [], [], 0
+        held, n = [], 0
 
         def flush():
-            tokens = np.concatenate(held)
-            yield _block_batch(list(_word_blocks(tokens, shards) if level == 1 else _pair_blocks(tokens, np.concatenate(contexts), shards, spread)))
-            del tokens
+            if order == 1:
+                rows = list(_word_blocks(np.concatenate([t for t, _ in held]), dealer))
+            else:
+                wide = [with_starts(t, o) for t, o in held]
+                shift = np.cumsum([0] + [len(t) for t, _ in wide])
+                offsets = np.concatenate([[0], *(o[1:] + k for (_, o), k in zip(wide, shift))])
+                rows = list(_gram_blocks(np.concatenate([t for t, _ in wide]), offsets, order, dealer))
+            yield _block_batch(rows, places)
             scan.release()
 
         for batch in batches:
             for _, _, data, starts in scan.blocks(batch.column(0)):
-                tokens, offsets = text_tokens(data, starts)
-                held.append(tokens)
-                if level > 1:
-                    contexts.append(contexts_of(tokens, offsets))
-                n += len(tokens)
+                held.append(text_tokens(data, starts))
+                n += len(held[-1][0])
                 if n >= FLUSH_TOKENS:
                     yield from flush()
-                    held, contexts, n = [], [], 0
+                    held, n = [], 0
         if n:
             yield from flush()
 
-    return texts.mapInArrow(count, BLOCK_SCHEMA)
+    return texts.mapInArrow(count, BLOCK_SCHEMA).repartition(dealer.shards, "place")
 
 
 def _add_up(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -347,9 +434,9 @@ class Level1:
             meta, arrays = map_arrays(folder, name)
             self.parts.append((_open_ef("words", meta, arrays), arrays) if name else None)
 
-    def lookup(self, words: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def lookup(self, words: np.ndarray, dealer: Dealer) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(count, shard, position) of each word; count 0 and position -1 if unknown."""
-        own = shard_of(words, None, shards)
+        own = dealer.shard(words)
         count, at = np.zeros(len(words), np.int64), np.full(len(words), -1, np.int64)
         for s in np.unique(own):
             mine = np.flatnonzero(own == s)
@@ -373,79 +460,192 @@ def _write_level1(folder: str, shard: int, keys: np.ndarray, counts: np.ndarray)
     return write_arrays(folder, f"l1-{shard:06d}", meta, arrays)
 
 
-def _write_level2(folder: str, shard: int, contexts: np.ndarray, sizes: np.ndarray, codes: np.ndarray, probs: np.ndarray) -> str:
-    meta, arrays = {}, {}
-    _pack_ef("contexts", EliasFano.build(contexts), meta, arrays)
-    _pack_ef("pointers", EliasFano.build(np.concatenate([[0], np.cumsum(sizes)]).astype(np.uint64)), meta, arrays)
-    rank = np.repeat(np.arange(len(contexts), dtype=np.uint64), sizes)
-    _pack_ef("codes", EliasFano.build((rank << np.uint64(32)) | codes.astype(np.uint64)), meta, arrays)
-    arrays["prob8"] = probs
-    return write_arrays(folder, f"l2-{shard:06d}", meta, arrays)
+_level1: dict[str, Level1] = {}
+
+
+def level1_of(folder: str, names: list[str]) -> Level1:
+    """The worker's mapped level 1 of a model."""
+    if folder not in _level1:
+        _level1.clear()
+        _level1[folder] = Level1(folder, names)
+    return _level1[folder]
+
+
+class TriePart:
+    """A shard's trie, built from counted n-grams or opened from its file."""
+
+    def __init__(self, order: int, contexts: EliasFano, levels: list[tuple[EliasFano, EliasFano, np.ndarray]], left: list[np.ndarray]):
+        self.order, self.contexts, self.levels, self.left = order, contexts, levels, left
+
+    @staticmethod
+    def write(folder: str, shard: int, order: int, contexts: np.ndarray, levels: list[tuple[np.ndarray, np.ndarray, np.ndarray]], left: list[np.ndarray]) -> str:
+        """``levels``: (entry above, code, quantised probability) of each entry of levels 2 and
+        up, in order; ``left``: back-off mass of the entries that are contexts."""
+        meta, arrays, above = {"order": order}, {}, len(contexts)
+        _pack_ef("contexts", EliasFano.build(contexts), meta, arrays)
+        for k, (parent, code, prob) in enumerate(levels, 2):
+            sizes = np.bincount(parent, minlength=above)
+            _pack_ef(f"pointers{k}", EliasFano.build(np.concatenate([[0], np.cumsum(sizes)]).astype(np.uint64)), meta, arrays)
+            _pack_ef(f"codes{k}", EliasFano.build((parent.astype(np.uint64) << np.uint64(32)) | code.astype(np.uint64), 4), meta, arrays)
+            arrays[f"prob{k}"] = prob
+            if k < order:
+                arrays[f"left{k}"] = left[k - 2]
+            above = len(code)
+        return write_arrays(folder, f"trie-{shard:06d}", meta, arrays)
+
+    @classmethod
+    def open(cls, folder: str, name: str) -> TriePart:
+        meta, arrays = map_arrays(folder, name)
+        n = meta["order"]
+        return cls(n, _open_ef("contexts", meta, arrays), [(_open_ef(f"pointers{k}", meta, arrays), _open_ef(f"codes{k}", meta, arrays), arrays[f"prob{k}"]) for k in range(2, n + 1)], [arrays[f"left{k}"] for k in range(2, n)])
+
+    def children(self, level: int, above: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(entry of ``level``, its probability) of each code after the entry above; -1 and 0 if unseen."""
+        pointers, ef, prob = self.levels[level - 2]
+        at, p = np.full(len(codes), -1, np.int64), np.zeros(len(codes))
+        known = np.flatnonzero(above >= 0)
+        if len(known):
+            own, back = np.unique(above[known], return_inverse=True)
+            lo, hi = pointers.access(own).astype(np.int64), pointers.access(own + 1).astype(np.int64)
+            at[known] = find_code(ef, codes[known], lo[back], hi[back])
+            hit = at >= 0
+            p[hit] = CODEBOOK[prob[at[hit]]]
+        return at, p
+
+
+LEFT_STEPS = 65535
+
+
+def _left(mass: np.ndarray) -> np.ndarray:
+    return np.clip(np.floor((1 - mass) * LEFT_STEPS), 1, LEFT_STEPS).astype(np.uint16)
+
+
+def _trie_levels(rank: np.ndarray, codes: list[np.ndarray], count: np.ndarray, total: np.ndarray, order: int, min_count: int, discount: float):
+    """(levels, back-off masses, kept mass of each context) of sorted distinct n-grams: ``rank``
+    of the first word, ``codes`` of the others (0 for none), ``total`` of each first word."""
+    levels, left = [], []
+    above, above_total = rank.astype(np.int64), total
+    alive, context_mass = np.ones(len(rank), bool), None
+    for k in range(2, order + 1):
+        code = codes[k - 2]
+        alive = alive & (code > 0)
+        rows = np.flatnonzero(alive)
+        fresh = np.concatenate([[True], (above[rows][1:] != above[rows][:-1]) | (code[rows][1:] != code[rows][:-1])]) if len(rows) else np.zeros(0, bool)
+        first = np.flatnonzero(fresh)
+        c = np.add.reduceat(count[rows], first) if len(first) else np.zeros(0, np.int64)
+        number = np.cumsum(fresh) - 1
+        if min_count > 1:
+            keep = c >= min_count
+            renumber = np.cumsum(keep) - 1
+            rows, number, first, c = rows[keep[number]], renumber[number[keep[number]]], first[keep], c[keep]
+            heads = np.flatnonzero(alive)[first]
+            alive = np.zeros(len(rank), bool)
+            alive[rows] = True
+        else:
+            heads = rows[first]
+        parent = above[heads]
+        prob = quantise((c - discount) / np.maximum(above_total[parent], 1))
+        mass = np.bincount(parent, weights=CODEBOOK[prob], minlength=len(above_total)) if len(above_total) else np.zeros(0)
+        if k == 2:
+            context_mass = mass
+        else:
+            left.append(_left(mass))
+        levels.append((parent, code[heads], prob))
+        above = np.full(len(rank), -1, np.int64)
+        above[rows] = number
+        above_total = c
+    return levels, left, context_mass
 
 
 def _by_shard(names: dict[int, str], shards: int, folder: str, empty) -> list[str]:
     return [names.get(s) or empty(folder, s) for s in range(shards)]
 
 
-def build_model(train: DataFrame, folder: str | None = None, min_count: int = MIN_COUNT, discount: float = DISCOUNT, shard_bytes: int = SHARD_BYTES, spread: int | None = None) -> dict:
+def build_model(train: DataFrame, folder: str | None = None, order: int = ORDER, min_count: int = MIN_COUNT, discount: float = DISCOUNT, shard_bytes: int = SHARD_BYTES, hot_tokens: int | None = None) -> dict:
     """Count ``text`` of all rows and write the levels; the manifest (names of files, totals)."""
+    if order < 2:
+        raise ValueError("a trie has two levels at least")
     spark = train.sparkSession
     folder = folder or shared_dir(spark, "ngram")
     texts = train.select(F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     size = texts.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()
-    shards = max(2, -(-int(size["b"]) // shard_bytes))
-    spread = spread or max(1, shards // 16)
+    shards, n_texts = max(2, -(-int(size["b"]) // shard_bytes)), int(size["n"])
+    places = even_keys(spark, shards)
+    hot_tokens = hot_tokens or max(1, int(HOT_SHARE * shard_bytes / 6))  # a word takes about six bytes
+    plain = Dealer(shards, np.zeros(0, np.uint64), np.zeros(0, np.int64))
 
     def words(key, frame):
-        keys, counts = _add_up(np.concatenate([np.frombuffer(x, np.uint64) for x in frame["a"]]), np.concatenate([_from_small(x) for x in frame["b"]]))
-        name = _write_level1(folder, int(key[0]), keys, counts)
-        return pd.DataFrame({"shard": [int(key[0])], "name": [name], "distinct": [len(keys)], "total": [int(counts.sum())]})
-
-    rows = materialise(_count_blocks(texts, shards, 1, 1).groupBy("shard").applyInPandas(words, "shard int, name string, distinct long, total long"), f"{folder}/manifest1").collect()
+        shard = int(frame["shard"].iloc[0])
+        out = []
+        for shard, part in frame.groupby("shard"):
+            keys, counts = _add_up(np.concatenate([np.frombuffer(x, np.uint64) for x in part["a"]]), np.concatenate([_from_small(x) for x in part["b"]]))
+            often = counts > hot_tokens
+            out.append((int(shard), _write_level1(folder, int(shard), keys, counts), len(keys), int(counts.sum()), keys[often].tobytes(), counts[often].tobytes()))
+        return pd.DataFrame(out, columns=["shard", "name", "distinct", "total", "often", "counts"])
+
+    rows = materialise(_count_blocks(texts, 1, plain, places).groupBy("place").applyInPandas(words, "shard int, name string, distinct long, total long, often binary, counts binary"), f"{folder}/manifest1").collect()
     level1 = _by_shard({r["shard"]: r["name"] for r in rows}, shards, folder, lambda f, s: _write_level1(f, s, np.zeros(0, np.uint64), np.zeros(0, np.int64)))
-    n_start = int(size["n"])
-
-    def pairs(key, frame):
-        context = np.concatenate([np.repeat(np.frombuffer(a, np.uint64), _from_small(b)) for a, b in zip(frame["a"], frame["b"], strict=True)])
+    often = np.concatenate([np.zeros(0, np.uint64), *(np.frombuffer(r["often"], np.uint64) for r in rows), np.array([START] if n_texts > hot_tokens else [], np.uint64)])
+    counts = np.concatenate([np.zeros(0, np.int64), *(np.frombuffer(r["counts"], np.int64) for r in rows), np.array([n_texts] if n_texts > hot_tokens else [], np.int64)])
+    by_word = np.argsort(often)
+    dealer = Dealer(shards, often[by_word], np.minimum(-(-counts[by_word] // hot_tokens), shards))
+
+    def grams(key, frame):
+        out = []
+        for shard, part in frame.groupby("shard"):
+            out += _merge_grams(int(shard), part)
+        return pd.DataFrame(out, columns=["shard", "owner", "owner_place", "name", "contexts", "mass"])
+
+    def _merge_grams(shard, part):
+        sizes = [_from_small(x) for x in part["b"]]
+        context = np.concatenate([np.repeat(np.frombuffer(a, np.uint64), b) for a, b in zip(part["a"], sizes, strict=True)])
+        split = [np.frombuffer(x, np.uint32).reshape(order - 1, -1) for x in part["c"]]
+        codes = [np.concatenate([x[k] for x in split]) for k in range(order - 1)]
+        count = np.concatenate([_from_small(x) for x in part["d"]])
         vocabulary, rank = np.unique(context, return_inverse=True)
-        code = np.concatenate([np.frombuffer(x, np.uint32) for x in frame["c"]]).astype(np.uint64)
-        pair, count = _add_up((rank.astype(np.uint64) << np.uint64(32)) | code, np.concatenate([_from_small(x) for x in frame["d"]]))
-        keep = count >= min_count
-        pair, count = pair[keep], count[keep]
-        used, at = np.unique((pair >> np.uint64(32)).astype(np.int64), return_inverse=True)
-        contexts = vocabulary[used]
-        total = Level1(folder, level1).lookup(contexts, shards)[0]
-        total[contexts == START] = n_start
-        prob = quantise((count - discount) / total[at])
-        sizes = np.bincount(at, minlength=len(used))
-        name = _write_level2(folder, int(key[0]), contexts, sizes, (pair & np.uint64(0xFFFFFFFF)).astype(np.uint32), prob)
-        mass = np.bincount(at, weights=CODEBOOK[prob], minlength=len(used))
-        own = shard_of(contexts, None, shards)
-        del context, rank, code, pair, count
+        del context, split
+        pair = (rank.astype(np.uint64) << np.uint64(32)) | codes[0]
+        by = np.lexsort([*codes[:0:-1], pair]) if order > 2 else np.argsort(pair, kind="stable")
+        rank, count, codes, pair = rank[by], count[by], [c[by] for c in codes], pair[by]
+        fresh = np.concatenate([[True], pair[1:] != pair[:-1]])
+        for c in codes[1:]:
+            fresh[1:] |= c[1:] != c[:-1]
+        first = np.flatnonzero(fresh)
+        rank, codes, count = rank[first], [c[first] for c in codes], np.add.reduceat(count, first)
+        del pair, by, fresh
+        total = level1_of(folder, level1).lookup(vocabulary, plain)[0]
+        total[vocabulary == START] = n_texts
+        levels, left, mass = _trie_levels(rank, codes, count, total, order, min_count, discount)
+        name = TriePart.write(folder, shard, order, vocabulary, levels, left)
+        own = plain.shard(vocabulary)
         scan.release()
-        out = [(s, name, contexts[own == s].tobytes(), mass[own == s].tobytes()) for s in np.unique(own)] or [(-1, name, b"", b"")]
-        return pd.DataFrame(out, columns=["owner", "name", "contexts", "mass"]).assign(shard=int(key[0]))[["shard", "owner", "name", "contexts", "mass"]]
+        return [(shard, s, int(places[s]), name, vocabulary[own == s].tobytes(), mass[own == s].tobytes()) for s in np.unique(own).tolist()]
 
-    second = materialise(_count_blocks(texts, shards, 2, spread).groupBy("shard").applyInPandas(pairs, "shard int, owner int, name string, contexts binary, mass binary"), f"{folder}/manifest2")
-    level2 = _by_shard({r["shard"]: r["name"] for r in second.select("shard", "name").distinct().collect()}, shards, folder, lambda f, s: _write_level2(f, s, np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.uint32), np.zeros(0, np.uint8)))
+    second = materialise(_count_blocks(texts, order, dealer, places).groupBy("place").applyInPandas(grams, "shard int, owner int, owner_place int, name string, contexts binary, mass binary"), f"{folder}/manifest2")
+    none = np.zeros(0, np.int64)
+    empty = [(none, np.zeros(0, np.uint32), np.zeros(0, np.uint8))] * (order - 1)
+    trie = _by_shard({r["shard"]: r["name"] for r in second.select("shard", "name").distinct().collect()}, shards, folder, lambda f, s: TriePart.write(f, s, order, np.zeros(0, np.uint64), empty, [np.zeros(0, np.uint16)] * (order - 2)))
 
     def masses(key, frame):
-        """Back-off of each context, in the order of the level-1 shard that has the word."""
-        keys = np.concatenate([np.frombuffer(x, np.uint64) for x in frame["contexts"]])
-        mass = np.concatenate([np.frombuffer(x, np.float64) for x in frame["mass"]])
-        keys, mass = _add_up(keys, mass)
-        ef = Level1(folder, [level1[int(key[0])]]).parts[0][0]
-        at = ef.find(keys)
-        known = at >= 0
-        left = np.full(ef.n, 65535, np.uint16)
-        left[at[known]] = np.clip(np.floor((1 - mass[known]) * 65535), 1, 65535)
-        start = float(1 - mass[keys == START].sum()) if (keys == START).any() else None
-        return pd.DataFrame({"shard": [int(key[0])], "name": [write_arrays(folder, f"bow-{int(key[0]):06d}", {}, {"left": left})], "start": [start]})
-
-    third = materialise(second.filter("owner >= 0").groupBy(F.col("owner").alias("shard")).applyInPandas(masses, "shard int, name string, start double"), f"{folder}/manifest3").collect()
+        """Back-off of each first word, in the order of the level-1 shard that has the word."""
+        out = []
+        for shard, part in frame.groupby("owner"):
+            keys = np.concatenate([np.frombuffer(x, np.uint64) for x in part["contexts"]])
+            mass = np.concatenate([np.frombuffer(x, np.float64) for x in part["mass"]])
+            keys, mass = _add_up(keys, mass)
+            ef = level1_of(folder, level1).parts[int(shard)][0]
+            at = ef.find(keys)
+            known = at >= 0
+            left = np.full(ef.n, LEFT_STEPS, np.uint16)
+            left[at[known]] = _left(mass[known])
+            start = float(1 - mass[keys == START].sum()) if (keys == START).any() else None
+            out.append((int(shard), write_arrays(folder, f"bow-{int(shard):06d}", {}, {"left": left}), start))
+        return pd.DataFrame(out, columns=["shard", "name", "start"])
+
+    third = materialise(second.select("owner", "owner_place", "contexts", "mass").repartition(shards, "owner_place").groupBy("owner_place").applyInPandas(masses, "shard int, name string, start double"), f"{folder}/manifest3").collect()
     return {
-        "folder": folder, "shards": shards, "spread": spread, "level1": level1, "level2": level2, "backoff": {r["shard"]: r["name"] for r in third},
-        "tokens": sum(r["total"] for r in rows), "distinct": sum(r["distinct"] for r in rows), "texts": n_start, "start_left": next((r["start"] for r in third if r["start"] is not None and r["start"] == r["start"]), 1.0),
+        "folder": folder, "shards": shards, "order": order, "often": dealer.often, "ways": dealer.ways, "level1": level1, "trie": trie, "backoff": {r["shard"]: r["name"] for r in third},
+        "tokens": sum(r["total"] for r in rows), "distinct": sum(r["distinct"] for r in rows), "texts": n_texts, "start_left": next((r["start"] for r in third if r["start"] is not None and r["start"] == r["start"]), 1.0),
     }
 
 
@@ -453,65 +653,63 @@ class Model:
     """The mapped levels of a manifest; queries are arrays."""
 
     def __init__(self, manifest: dict):
-        self.m = manifest
+        self.m, self.order = manifest, manifest["order"]
+        self.dealer = Dealer(manifest["shards"], manifest["often"], manifest["ways"])
         self.first = Level1(manifest["folder"], manifest["level1"])
         self.left = {s: map_arrays(manifest["folder"], name)[1]["left"] for s, name in manifest["backoff"].items()}
-        self.second = []
-        for name in manifest["level2"]:
-            meta, arrays = map_arrays(manifest["folder"], name)
-            self.second.append((_open_ef("contexts", meta, arrays), _open_ef("pointers", meta, arrays), _open_ef("codes", meta, arrays), arrays["prob8"]))
+        self.parts = [TriePart.open(manifest["folder"], name) for name in manifest["trie"]]
         self.scale = manifest["tokens"] + 0.1 * (manifest["distinct"] + 1)
 
-    def kept(self, contexts: np.ndarray, context_of: np.ndarray, codes: np.ndarray) -> np.ndarray:
-        """kept(v, w) of each pair: ``contexts[context_of]`` before ``codes``."""
-        out = np.zeros(len(codes))
-        shards, spread = self.m["shards"], self.m["spread"]
-        for turn in range(spread):
-            residue = np.full(len(contexts), turn, np.uint32)
-            own = shard_of(contexts, residue, shards, spread)
-            now = np.ones(len(codes), bool) if spread == 1 else codes % np.uint32(spread) == turn
-            lo, hi, rank = np.zeros(len(contexts), np.int64), np.zeros(len(contexts), np.int64), np.full(len(contexts), -1, np.int64)
-            for s in np.unique(own):
-                mine = np.flatnonzero(own == s)
-                ef, pointers, _, _ = self.second[s]
-                found = ef.find(contexts[mine])
-                rank[mine] = found
-                there = found >= 0
-                lo[mine[there]] = pointers.access(found[there])
-                hi[mine[there]] = pointers.access(found[there] + 1)
-            ask = np.flatnonzero(now & (rank[context_of] >= 0))
-            ctx = context_of[ask]
-            for s in np.unique(own[ctx]):
-                mine = ask[own[ctx] == s]
-                c = context_of[mine]
-                at = self.second[s][2].find((rank[c].astype(np.uint64) << np.uint64(32)) | codes[mine], lo[c], hi[c])
-                hit = at >= 0
-                out[mine[hit]] = CODEBOOK[self.second[s][3][at[hit]]]
-        return out
-
-    def score(self, tokens: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(known tokens, base score, score) of each document."""
-        words, inverse = np.unique(tokens, return_inverse=True)
-        count, own, at = self.first.lookup(words, self.m["shards"])
+    def _words(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(count, back-off mass) of each distinct word."""
+        count, own, at = self.first.lookup(words, self.dealer)
         left = np.ones(len(words))
         for s in np.unique(own):
             if s in self.left:
                 mine = np.flatnonzero((own == s) & (at >= 0))
-                left[mine] = self.left[s][at[mine]] / 65535
-        single = (count + 0.1) / self.scale
-        # contexts are the words themselves and, one place further, the start of a text
-        before = np.empty(len(tokens), np.int64)
-        before[1:] = inverse[:-1]
-        before[offsets[:-1]] = len(words)
-        contexts = np.append(words, START)
-        back = np.append(left, self.m["start_left"])
-        # each pair of the block once, in the order of contexts and codes
-        pair, pair_of = np.unique(before * len(words) + inverse, return_inverse=True)
-        context, word = np.divmod(pair, len(words))
-        p = self.kept(contexts, context, code_of(words)[word]) + back[context] * single[word]
+                left[mine] = self.left[s][at[mine]] / LEFT_STEPS
+        return count, np.where(words == START, self.m["start_left"], left)
+
+    def score(self, tokens: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(known tokens, base score, score) of each document."""
+        wide, bounds = with_starts(tokens, offsets)
+        words, inverse = np.unique(wide, return_inverse=True)
+        count, left = self._words(words)
+        single, codes = (count + 0.1) / self.scale, code_of(words)
+        place = np.arange(len(wide)) - np.repeat(bounds[:-1], np.diff(bounds))  # 0: the start mark
+        real = np.flatnonzero(place > 0)
+        p = single[inverse[real]]
+        base = np.log10(p)
+        # n-grams by their end: number of the distinct one of the level below that ends one word
+        # earlier, and the last word; each distinct one is looked up once
+        ends, ids, back, shard, entry = real, inverse, left, None, None
+        for level in range(2, self.order + 1):
+            if level > 2:
+                ends = ends[place[ends] >= level - 1]
+            key, of = np.unique(ids[ends - 1] * len(words) + inverse[ends], return_inverse=True)
+            above, last = np.divmod(key, len(words))
+            code = codes[last]
+            own = self.dealer.shard(words[above], code) if level == 2 else shard[above]
+            at, kept, mass = np.full(len(key), -1, np.int64), np.zeros(len(key)), np.ones(len(key))
+            for s, mine in _by_owner(own, self.dealer.shards):
+                part = self.parts[s]
+                if level == 2:
+                    heads, again = np.unique(above[mine], return_inverse=True)
+                    parent = part.contexts.find(words[heads])[again]
+                else:
+                    parent = entry[above[mine]]
+                at[mine], kept[mine] = part.children(level, parent, code[mine])
+                if level < self.order:
+                    seen = mine[at[mine] >= 0]
+                    mass[seen] = part.left[level - 2][at[seen]] / LEFT_STEPS
+            # p so far is that of the context without its first word
+            rows = slice(None) if level == 2 else np.searchsorted(real, ends)
+            p[rows] = kept[of] + back[above][of] * p[rows]
+            ids = np.zeros(len(wide), np.int64)
+            ids[ends] = of
+            shard, entry, back = own, at, mass
         first = offsets[:-1]
-        logs = np.log10(single)
-        return np.add.reduceat((count > 0)[inverse].astype(np.int64), first), np.add.reduceat(logs[inverse], first), np.add.reduceat(np.log10(p)[pair_of], first)
+        return np.add.reduceat((count > 0)[inverse[real]].astype(np.int64), first), np.add.reduceat(base, first), np.add.reduceat(np.log10(p), first)
 
 
 _models: dict[str, Model] = {}
@@ -529,7 +727,7 @@ def score_texts(docs: DataFrame, manifest: dict) -> DataFrame:
             _models[m["folder"]] = Model(m)
         model = _models[m["folder"]]
         for batch in batches:
-            for lo, hi, data, starts in scan.blocks(batch.column(2)):
+            for lo, hi, data, starts in scan.blocks(batch.column(2), SCORE_BLOCK):
                 tokens, offsets = text_tokens(data, starts)
                 known, base, value = model.score(tokens, offsets)
                 yield pa.RecordBatch.from_arrays(

@@ -242,33 +242,44 @@ def test_elias_fano_matches_sorted_array():
             assert ((ef.find(x) >= 0) == np.isin(x, v)).all()
 
 
-@pytest.mark.parametrize("options", [dict(), dict(shard_bytes=60_000, spread=3)])
+@pytest.mark.parametrize("options", [dict(), dict(shard_bytes=60_000, hot_tokens=300), dict(order=2), dict(order=4, min_count=2)])
 def test_language_model_matches_brute_force(spark, docs, options):
     rows = docs.select("doc_id", "text", langid.held_out(10, 0).alias("held_out")).unionByName(table(spark, [(-1, None, False), (-2, "", True)], "doc_id long, text string, held_out boolean"))
     manifest = ef_ngram.build_model(rows.filter("NOT held_out"), **options)
     got = ef_ngram.score_texts(rows, manifest).collect()
     tokens = {r["doc_id"]: re.findall(r"[^\x20\x09-\x0D]+", fold(r["text"] or "")) + ["<end>"] for r in rows.collect()}
     held = {r["doc_id"]: r["held_out"] for r in got}
-    one, two, n = Counter(), Counter(), 0
+    order, least = options.get("order", ef_ngram.ORDER), options.get("min_count", ef_ngram.MIN_COUNT)
+    grams, n = [Counter() for _ in range(order + 1)], 0
     for i, w in tokens.items():
         if not held[i]:
-            one.update(w)
-            two.update(zip(["<s>", *w[:-1]], w))
+            grams[1].update(w)
             n += 1
+            x = ["<s>", *w]
+            for k in range(2, order + 1):
+                grams[k].update(tuple(x[j : j + k]) for j in range(len(x) - k + 1))
+    one = grams[1]
     total, distinct = sum(one.values()), len(one)
     kept, mass = {}, Counter()
-    for (a, b), c in two.items():
-        if c >= ef_ngram.MIN_COUNT:
-            q = ef_ngram.CODEBOOK[ef_ngram.quantise(np.array([(c - ef_ngram.DISCOUNT) / (n if a == "<s>" else one[a])]))[0]]
-            kept[a, b] = q
-            mass[a] += q
-    p = lambda w: (one[w] + 0.1) / (total + 0.1 * (distinct + 1))
+    for k in range(2, order + 1):
+        for g, c in grams[k].items():
+            if c < least or (k > 2 and g[:-1] not in kept):
+                continue
+            seen = (n if g[0] == "<s>" else one[g[0]]) if k == 2 else grams[k - 1][g[:-1]]
+            kept[g] = ef_ngram.CODEBOOK[ef_ngram.quantise(np.array([(c - ef_ngram.DISCOUNT) / seen]))[0]]
+            mass[g[:-1]] += kept[g]
+    base = lambda w: (one[w] + 0.1) / (total + 0.1 * (distinct + 1))
+
+    def p(h, w):
+        return kept.get((*h, w), 0) + (1 - mass[h]) * p(h[1:], w) if h else base(w)
+
     for r in got:
         w = tokens[r["doc_id"]]
         assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(one[x] > 0 for x in w), total)
-        assert math.isclose(r["base_score"], sum(math.log10(p(x)) for x in w), rel_tol=1e-9)
-        want = sum(math.log10(kept.get((a, b), 0) + (1 - mass[a]) * p(b)) for a, b in zip(["<s>", *w[:-1]], w))
-        assert abs(r["score"] - want) < 1e-2 + 2e-3 * len(w)
+        assert math.isclose(r["base_score"], sum(math.log10(base(x)) for x in w), rel_tol=1e-9)
+        x = ["<s>", *w]
+        want = sum(math.log10(p(tuple(x[max(0, j - order + 1) : j]), x[j])) for j in range(1, len(x)))
+        assert abs(r["score"] - want) < 1e-2 + 4e-3 * len(w), r
     assert sum(kept.values()) > 0
     empty = ef_ngram.build_model(rows.limit(0).select("text"))
     assert ef_ngram.score_texts(rows.limit(0), empty).count() == 0
