@@ -92,7 +92,7 @@ def saturation(rows: Iterable[dict], strategy: str = "hybrid", within: float = 0
     """The least share of memory from which on more of it gains no more than ``within``."""
     own = sorted((r["share"], r["secs"]) for r in rows if r["strategy"] == strategy)
     best = min(secs for _, secs in own)
-    return next(f for k, (f, _) in enumerate(own) if all(secs <= best * (1 + within) for _, secs in own[k:]))
+    return next((f for k, (f, _) in enumerate(own) if all(secs <= best * (1 + within) for _, secs in own[k:])), own[-1][0])
 
 
 def sweep_threads(sf_dir: str, threads: Iterable[int] = (1, 2, 4, 8), graph: str = "copart", rounds: int = 5) -> list[dict]:
@@ -158,7 +158,7 @@ def one_round(grid: EdgeGrid, share: float | None, strategies: Iterable[str]) ->
     for name in strategies:
         config = EngineConfig(bands=grid.bands, strategy=name, cached_bands=grid.bands if share is None and name == "resident" else 0)
         q = grid.bands if share is None else int(share * grid.bands)
-        secs, _ = timed(lambda c=config, k=q: _sum(run(grid, pagerank_program(grid.n), c, rounds=1, resident=k)), 2)
+        secs, _ = timed(lambda c=config, k=q: _sum(run(grid, pagerank_program(grid.n), c, rounds=1, resident=k)), 3)
         out.append({"strategy": name, "secs": secs})
     base = out[0]["secs"]
     return [r | {"speedup_of_first": r["secs"] / base} for r in out]
