@@ -78,7 +78,8 @@ def wcc_hooking(grid: EdgeGrid, max_rounds: int = 50) -> DataFrame:
         up = hooked.select(F.col("vid").alias("p"), F.col("p").alias("g"))
         nxt = write_table(hooked.join(up, "p").select("vid", F.col("g").alias("p")), f"{folder}/r{k}")
         moved = nxt.join(label.withColumnRenamed("p", "was"), "vid").filter("p <> was").limit(1).count()
-        delete(spark, f"{folder}/r{k - 1}")
+        for path in (f"{folder}/r{k - 1}", f"{folder}/h{k}"):
+            delete(spark, path)
         label = nxt
         if not moved:
             return label.select("vid", F.col("p").alias("attr"))
