@@ -14,8 +14,8 @@ from cellgraph.llm.storage import materialise, shared_dir
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
-#: Near copies share 80 % of their five-word shingles; the four words and 85 % that
-#: ``jaccard_join`` has as defaults are the contract of op7 alone.
+#: Near copies share 80 % of their five-word shingles, as ``jaccard_join`` has it by default;
+#: four words and 85 % are the contract of op7 alone.
 NEAR_WORDS = 5
 NEAR_PERCENT = 80
 
