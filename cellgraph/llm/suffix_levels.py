@@ -18,17 +18,25 @@ smaller document id, or in the same document at a smaller position).
    merge into the next, so n batches make at most log2(n) levels.
 5. Marked windows become byte ranges of documents, which are cut out of the texts.
 
+:func:`remove_repeats` does so within one table, with the family of a shard in its task's
+memory.  :class:`LevelIndex` keeps the families in a shared folder: every later batch meets the
+levels of the former ones there.
+
 Hashes only name and group; windows count as equal when their bytes are.  Null texts are
 empty; texts under ``LENGTH`` bytes lose nothing.  Rows that repeat id and text are one
 document and get the same result; of different texts under one id the order is that of their
-hashes.  A null id sorts last.
+hashes.  A null id sorts last.  An empty table gives an empty one.  Other columns are ignored,
+whatever their names.  A text of any length Spark can hold is one block of work in its task,
+which holds several arrays of eight bytes for each of its bytes.
 """
 
 from __future__ import annotations
 
 import gc
 import hashlib
+import json
 import time
+import uuid
 
 import numpy as np
 import pandas as pd
@@ -142,37 +150,15 @@ class LevelFamily:
         """Add the windows of ``text`` that start at ``at``; the ranks that are now known to
         be repeats of earlier windows (of this batch or of former ones)."""
         words = big_endian_words(text)
-        marked = []
         first = np.argsort(rank, kind="stable")
-        at, rank = at[first], rank[first]
-        # equal hashes next to each other, earliest first; bytes decide
-        h = scan.window_hashes(text, self.length)[at]
-        order = np.argsort(h, kind="stable")
-        at, rank, h = at[order], rank[order], h[order]
-        start = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, bool)
-        head = np.maximum.accumulate(np.where(start, np.arange(len(h)), 0))
-        same = np.zeros(len(h), bool)
-        rest = np.flatnonzero(~start)
-        same[rest] = True
-        for off in _offsets(self.length):
-            same[rest] &= words[at[rest] + off] == words[at[head[rest]] + off]
-        marked.append(rank[same])
-        at, rank = at[~same], rank[~same]
-        order = suffix_order(words, at, self.length)
+        order = first[suffix_order(words, at[first], self.length)]
         at, rank = at[order], rank[order]
-        # windows with equal bytes are neighbours now; there are some only if hashes collided above
-        while len(at) > 1:
-            twin = np.ones(len(at) - 1, bool)
-            for off in _offsets(self.length):
-                twin &= words[at[1:] + off] == words[at[:-1] + off]
-                if not twin.any():
-                    break
-            if not twin.any():
-                break
-            k = int(np.flatnonzero(twin)[0])
-            late = k if rank[k] > rank[k + 1] else k + 1
-            marked.append(rank[late : late + 1])
-            at, rank = np.delete(at, late), np.delete(rank, late)
+        # equal windows are neighbours in the suffix array, earliest first
+        twin = np.arange(1, len(at))
+        for off in _offsets(self.length):
+            twin = twin[words[at[twin] + off] == words[at[twin - 1] + off]]
+        marked = [rank[twin]]
+        at, rank = np.delete(at, twin), np.delete(rank, twin)
         fresh = np.ones(len(at), bool)
         for level in self.levels:
             if level is None or not len(level.at):
@@ -185,7 +171,13 @@ class LevelFamily:
             marked.append(np.maximum(rank[new], level.rank[old]))
             level.rank[old] = np.minimum(rank[new], level.rank[old])
             fresh[new] = False
-        carry, k = Level(words, at[fresh], rank[fresh], 1), 0
+        at, rank = at[fresh], rank[fresh]
+        # only bytes of new windows enter the family
+        cover = np.zeros(len(words) + 1, np.int64)
+        cover[at] += 1
+        np.subtract.at(cover, at + self.length, 1)
+        inside = np.cumsum(cover[:-1]) > 0
+        carry, k = Level(words[inside], (np.cumsum(inside) - 1)[at], rank, 1), 0
         while k < len(self.levels) and self.levels[k] is not None:
             carry, self.levels[k], k = self.levels[k].merged(carry, self.length), None, k + 1
         if k == len(self.levels):
@@ -207,8 +199,9 @@ def sliding_min(a: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(have[:-rest], have[rest:]) if rest and len(have) > rest else have if not rest else have[:0]
 
 
-#: Bits of a position in a block of texts; the rest of 64 orders the strings.
-_PLACE = np.uint64(30)
+#: Bits of a position in a block of texts (a string of Spark has fewer than 2^31 bytes); the
+#: rest of 64 orders the strings.
+_PLACE = np.uint64(31)
 
 
 def window_runs(data: np.ndarray, starts: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
@@ -222,7 +215,7 @@ def window_runs(data: np.ndarray, starts: np.ndarray, length: int = LENGTH, gram
     if len(data) < length:
         return none, none, none, none, none.astype(bool)
     if len(data) >> int(_PLACE):
-        raise ValueError("a text of a gigabyte or more")
+        raise ValueError("a block of texts of two gigabytes or more")
     h = scan.window_hashes(data, gram)
     least = sliding_min((h >> _PLACE << _PLACE) | np.arange(len(h), dtype=np.uint64), length - gram + 1)
     place = (least & np.uint64((1 << int(_PLACE)) - 1)).astype(np.int64)
@@ -285,7 +278,8 @@ _SHIP = "shard int, ids binary, dgs binary, begins binary, sizes binary, bytes b
 
 def _ship_runs(rows: DataFrame, shards: int, length: int, gram: int) -> DataFrame:
     """Bytes of candidate runs of rows (id, dg, text, names), one row for each shard and task;
-    runs with equal bytes are folded to the earliest, and the others travel as ready-made cuts."""
+    runs with equal bytes are folded to the earliest, and the others travel as ready-made cuts.
+    Without names (null in every row) all runs are candidates."""
 
     def ship(batches):
         held: dict[bytes, tuple] = {}
@@ -309,7 +303,8 @@ def _ship_runs(rows: DataFrame, shards: int, length: int, gram: int) -> DataFram
 
         for batch in batches:
             ids, dgs = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            wanted, edges = batch.column(3).flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(batch.column(3).value_lengths().to_numpy(zero_copy_only=False))])
+            whole = batch.column(3).null_count == batch.num_rows
+            wanted, edges = (None, None) if whole else (batch.column(3).flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(batch.column(3).value_lengths().to_numpy(zero_copy_only=False))]))
             for lo, hi, data, starts in scan.blocks(batch.column(2)):
                 doc, begin, count, name, _ = window_runs(data, starts, length, gram)
                 bounds = scan.by_document(np.bincount(doc, minlength=hi - lo))
@@ -317,7 +312,7 @@ def _ship_runs(rows: DataFrame, shards: int, length: int, gram: int) -> DataFram
                 text = data.tobytes()
                 for k in range(lo, hi):
                     mine = slice(bounds[k - lo], bounds[k - lo + 1])
-                    chosen = np.isin(name[mine], wanted[edges[k] : edges[k + 1]])
+                    chosen = np.ones(len(name[mine]), bool) if whole else np.isin(name[mine], wanted[edges[k] : edges[k + 1]])
                     base = int(starts[k - lo])
                     for b, c, own in zip(begin[mine][chosen].tolist(), count[mine][chosen].tolist(), shard[mine][chosen].tolist(), strict=True):
                         part = text[base + b : base + b + c + length - 1]
@@ -344,8 +339,9 @@ def _ship_runs(rows: DataFrame, shards: int, length: int, gram: int) -> DataFram
     return rows.select("id", "dg", "text", "names").mapInArrow(ship, _SHIP)
 
 
-def _cut_shard(frame: pd.DataFrame, length: int, batches: int) -> tuple[np.ndarray, ...]:
-    """(ids, dgs, begins, ends) of what a shard's runs repeat."""
+def _cut_shard(frame: pd.DataFrame, length: int, batches: int, family: LevelFamily | None = None) -> tuple[np.ndarray, ...]:
+    """(ids, dgs, begins, ends) of what a shard's runs repeat, of each other and of what
+    ``family`` holds already; its new windows enter the family."""
     read = lambda c: np.concatenate([np.frombuffer(x, np.int64) for x in frame[c]]) if len(frame) else np.zeros(0, np.int64)
     ids, dgs, begins, sizes = (read(c) for c in ("ids", "dgs", "begins", "sizes"))
     text = np.frombuffer(b"".join(frame["bytes"]), np.uint8)
@@ -354,7 +350,7 @@ def _cut_shard(frame: pd.DataFrame, length: int, batches: int) -> tuple[np.ndarr
     order = np.lexsort((begins, dgs, ids))
     windows = sizes[order] - length + 1
     rank0 = scan.by_document(windows)
-    family = LevelFamily(length)
+    family = family or LevelFamily(length)
     marked = []
     run_batch = np.empty(len(order), np.int64)
     run_batch[order] = np.minimum(rank0[:-1] * batches // max(1, int(rank0[-1])), batches - 1)
@@ -432,6 +428,122 @@ def repeated_ranges(rows: DataFrame, folder: str, length: int = LENGTH, gram: in
     return ranges, copies
 
 
+_PIECE = "shard int, id long, dg long, begin long, end long, level int, text binary, at binary"
+
+
+class LevelIndex:
+    """Suffix array levels in a shared folder, which meet the batches of later runs.
+
+    A batch's windows go to ``shards`` by name.  In a shard they get a suffix array, are
+    merge-scanned against the 100-byte windows of every level there, and what wasn't met
+    before becomes a level, merged with equal-sized ones: n batches leave at most log2(n) + 1
+    levels.  A level is a table bucketed by shard, so old levels aren't shuffled while bucket
+    numbers agree; a row holds a shard's bytes and the places of its windows in byte order.
+
+    All that earlier batches brought counts as earlier, whatever its ids.  A level needs about
+    seven times the bytes of its texts (places and overlaps); ``shards`` is fixed with the first
+    batch, and a level's row must stay under a gigabyte, or ``add`` raises before anything
+    changes: take shards for the corpus to come, about one for each 64 MB of text.
+
+    ``manifest-N.json`` names the tables of a state.  It is put in place by a rename, last of
+    all, so a batch that fails leaves the former state; of two writers at once one raises.
+    """
+
+    def __init__(self, spark: SparkSession, folder: str, shards: int = 256, length: int = LENGTH, gram: int = GRAM):
+        self.spark, self.folder = spark, folder.rstrip("/")
+        self.state = {"shards": shards, "length": length, "gram": gram, "batches": 0, "levels": []}
+        jvm = spark.sparkContext._jvm
+        self._path = jvm.org.apache.hadoop.fs.Path
+        self._fs = self._path(self.folder).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        self._fs.mkdirs(self._path(self.folder))
+        numbers = [int(f.getPath().getName()[9:-5]) for f in self._fs.listStatus(self._path(self.folder)) if f.getPath().getName().startswith("manifest-")]
+        if numbers:
+            found = json.loads(spark.read.text(f"{self.folder}/manifest-{max(numbers)}.json", wholetext=True).first()[0])
+            if (found["length"], found["gram"]) != (length, gram):
+                raise ValueError(f"the index is of {found['length']} bytes by {found['gram']}")
+            self.state = found
+
+    def _open(self, name: str) -> DataFrame:
+        """A written table, bucketed also in a session that didn't write it."""
+        table = f"suffix_{uuid.uuid4().hex}"
+        n, place = self.state["shards"], f"{self.folder}/{name}".replace("'", "\\'")
+        self.spark.sql(f"CREATE TABLE {table} ({_PIECE}) USING parquet CLUSTERED BY (shard) INTO {n} BUCKETS LOCATION '{place}'")
+        self._tables.append(table)
+        return self.spark.table(table)
+
+    def levels(self) -> DataFrame:
+        """(shard, level, text, at) of every level."""
+        out = self.spark.createDataFrame([], _PIECE)
+        for k, name in enumerate(self.state["levels"]):
+            if name:
+                own = self._open(name).filter("text IS NOT NULL").withColumn("level", F.lit(k))
+                out = own if not any(self.state["levels"][:k]) else out.unionByName(own)
+        return out.select("shard", "level", "text", "at")
+
+    def add(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+        """What :func:`remove_repeats` says of a batch, with all earlier batches before it; the
+        batch is in the index when this returns.  Rows and odd cases as there."""
+        length, gram, shards = (self.state[k] for k in ("length", "gram", "shards"))
+        filled = [bool(x) for x in self.state["levels"]]
+        top = filled.index(False) if False in filled else len(filled)
+        self._tables: list[str] = []
+        rows = _keyed(docs, id_col, text_col)
+        shipped = _ship_runs(rows.dropDuplicates(["id", "dg"]).withColumn("names", F.lit(None).cast("array<long>")), shards, length, gram)
+
+        def meet(key, batch, old):
+            family = LevelFamily(length)
+            none = np.zeros(0, np.int64)
+            family.levels = [Level(np.zeros(0, np.uint64), none, none, 1 << k) if f else None for k, f in enumerate(filled)]
+            for level, text, at in zip(old["level"], old["text"], old["at"], strict=True):
+                place = np.frombuffer(at, np.int32).astype(np.int64)
+                family.levels[level] = Level(big_endian_words(np.frombuffer(text, np.uint8)), place, np.full(len(place), -1), 1 << level)
+            cuts = _cut_shard(batch, length, 1, family)
+            if len(batch) == 0:
+                family.add(np.zeros(0, np.uint8), none, none)
+            made = family.levels[top]
+            if len(made.words) >> 30:
+                raise ValueError("a level's shard of a gigabyte or more: the index needs more shards")
+            more = [np.concatenate([none, *(np.frombuffer(x, np.int64) for x in batch[c])]) for c in ("cut_ids", "cut_dgs", "cut_begins", "cut_ends")]
+            out = pd.DataFrame({k: np.concatenate([a, b]) for k, a, b in zip(("id", "dg", "begin", "end"), cuts, more, strict=True)}).astype("Int64")
+            tail = pd.DataFrame({"level": [top], "text": [(made.words >> np.uint64(56)).astype(np.uint8).tobytes()], "at": [made.at.astype(np.int32).tobytes()]})
+            both = pd.concat([out, tail], ignore_index=True)
+            both["shard"] = key[0]
+            return both[[c.split()[0] for c in _PIECE.split(", ")]]
+
+        name = f"batch-{self.state['batches']}-{uuid.uuid4().hex[:8]}"
+        table = f"suffix_{uuid.uuid4().hex}"
+        try:
+            met = shipped.groupBy("shard").cogroup(self.levels().groupBy("shard")).applyInPandas(meet, _PIECE)
+            met.write.format("parquet").option("path", f"{self.folder}/{name}").bucketBy(shards, "shard").saveAsTable(table)
+            self._tables.append(table)
+            ranges = self.spark.table(table).filter("id IS NOT NULL").groupBy("id", "dg").agg(F.sort_array(F.collect_list(F.struct("begin", "end"))).alias("ranges"))
+            out = rows.join(materialise(ranges, f"{self.folder}/cuts-{name}"), ["id", "dg"], "left")
+            self._commit(top, name)
+        finally:
+            for made in self._tables:
+                self.spark.sql(f"DROP TABLE IF EXISTS {made}")
+        return _cut_texts(out.select(F.when(F.col("id") != _NULL_ID, F.col("id")).alias("doc_id"), "text", F.lit(False).alias("copy"), "ranges"))
+
+    def _commit(self, top: int, name: str) -> None:
+        gone = [x for x in self.state["levels"][:top] if x]
+        state = dict(self.state, batches=self.state["batches"] + 1, levels=[None] * top + [name] + self.state["levels"][top + 1 :])
+        draft, place = self._path(f"{self.folder}/draft-{name}"), self._path(f"{self.folder}/manifest-{state['batches']}.json")
+        out = self._fs.create(draft)
+        out.write(bytearray(json.dumps(state).encode()))
+        out.close()
+        if self._fs.exists(place) or not self._fs.rename(draft, place):
+            raise RuntimeError("another batch was added at the same time")
+        self.state = state
+        for old in gone:
+            remove(self.spark, f"{self.folder}/{old}")
+
+
+def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(id, dg, text) of ``docs``: null texts are empty, null ids sort last."""
+    rows = docs.select(F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit("")).alias("text"))
+    return rows.withColumn("dg", F.xxhash64("text"))
+
+
 def _cut_texts(rows: DataFrame) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans) of rows (doc_id, text, copy, ranges)."""
     kind = pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))
@@ -467,7 +579,7 @@ def _cut_texts(rows: DataFrame) -> DataFrame:
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """One row for each row of ``docs``: what was removed, and the digest of what is left."""
     folder = shared_dir(docs.sparkSession, "suffix")
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NULL_ID)).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).withColumn("dg", F.xxhash64("text"))
+    rows = _keyed(docs, id_col, text_col)
     ranges, copies = repeated_ranges(rows, folder, **options)
     facts = materialise(ranges.join(copies.withColumn("copy", F.lit(True)), ["id", "dg"], "full").select("id", "dg", F.coalesce("copy", F.lit(False)).alias("copy"), "ranges"), f"{folder}/facts")
     joined = rows.join(facts, ["id", "dg"], "left").select(F.when(F.col("id") != _NULL_ID, F.col("id")).alias("doc_id"), "text", F.coalesce("copy", F.lit(False)).alias("copy"), "ranges")
