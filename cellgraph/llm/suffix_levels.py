@@ -12,7 +12,7 @@ smaller document id, or in the same document at a smaller position).
    one aggregation and one join of narrow rows.
 3. The bytes of these runs go to shards by name.  A map task first folds runs with the same
    bytes to the earliest, so a passage of any number of documents reaches a shard once a task.
-4. In a shard the runs arrive in batches.  A batch gets a suffix array: its windows in byte
+4. In a shard the runs of all tasks fold alike and arrive in batches.  A batch gets a suffix array: its windows in byte
    order.  It is merge-scanned against each existing level, and of equal windows the later
    one is marked.  Windows not met before enter the family as level 0, and equal-sized levels
    merge into the next, so n batches make at most log2(n) levels.
@@ -344,28 +344,33 @@ def _cut_shard(frame: pd.DataFrame, length: int, batches: int, family: LevelFami
     ``family`` holds already; its new windows enter the family."""
     read = lambda c: np.concatenate([np.frombuffer(x, np.int64) for x in frame[c]]) if len(frame) else np.zeros(0, np.int64)
     ids, dgs, begins, sizes = (read(c) for c in ("ids", "dgs", "begins", "sizes"))
-    text = np.frombuffer(b"".join(frame["bytes"]), np.uint8)
-    place = scan.by_document(sizes)
-    # runs in the order of (document, position), so that a window's rank says which is earlier
+    # in the order of (document, position) a window's rank says which is earlier; tasks fold
+    # their own runs only, so runs with equal bytes of several tasks fold to the first here
     order = np.lexsort((begins, dgs, ids))
-    windows = sizes[order] - length + 1
+    raw, place = b"".join(frame["bytes"]), scan.by_document(sizes)
+    known: dict[bytes, int] = {}
+    is_first = np.zeros(len(order), bool)
+    for k, (run, lo, hi) in enumerate(zip(order.tolist(), place[order].tolist(), place[order + 1].tolist(), strict=True)):
+        is_first[k] = known.setdefault(raw[lo:hi], run) == run
+    text = np.frombuffer(b"".join(known), np.uint8)
+    del raw, known
+    again, order = order[~is_first], order[is_first]
+    folded = ids[again], dgs[again], begins[again], begins[again] + sizes[again]
+    ids, dgs, begins, sizes = (x[order] for x in (ids, dgs, begins, sizes))
+    place, windows = scan.by_document(sizes), sizes - length + 1
     rank0 = scan.by_document(windows)
     family = family or LevelFamily(length)
     marked = []
-    run_batch = np.empty(len(order), np.int64)
-    run_batch[order] = np.minimum(rank0[:-1] * batches // max(1, int(rank0[-1])), batches - 1)
-    position = np.empty(len(order), np.int64)
-    position[order] = np.arange(len(order))
+    run_batch = np.minimum(rank0[:-1] * batches // max(1, int(rank0[-1])), batches - 1)
     for turn in range(batches):
         mine = np.flatnonzero(run_batch == turn)
         if not len(mine):
             continue
-        n = sizes[mine]
-        local = scan.by_document(n)
-        source = np.repeat(place[mine] - local[:-1], n) + np.arange(local[-1])
-        count = n - length + 1
+        # a batch's runs are neighbours, so its bytes are a slice
+        lo, hi = mine[0], mine[-1] + 1
+        count = windows[lo:hi]
         step = np.arange(count.sum()) - np.repeat(scan.by_document(count)[:-1], count)
-        marked.append(family.add(text[source], np.repeat(local[:-1], count) + step, np.repeat(rank0[position[mine]], count) + step))
+        marked.append(family.add(text[place[lo] : place[hi]], np.repeat(place[lo:hi] - place[lo], count) + step, np.arange(rank0[lo], rank0[hi])))
     flags = np.zeros(int(rank0[-1]) + 1, np.int8)
     if marked:
         flags[np.concatenate(marked)] = 1
@@ -376,9 +381,10 @@ def _cut_shard(frame: pd.DataFrame, length: int, batches: int, family: LevelFami
     prev = np.concatenate([[False], on[:-1]]) & ~border[:-1]
     nxt = np.concatenate([on[1:], [False]]) & ~border[1:]
     first, last = np.flatnonzero(on & ~prev), np.flatnonzero(on & ~nxt)
-    run = order[np.searchsorted(rank0, first, side="right") - 1]
-    begin = begins[run] + first - rank0[position[run]]
-    return ids[run], dgs[run], begin, begin + (last - first) + length
+    run = np.searchsorted(rank0, first, side="right") - 1
+    begin = begins[run] + first - rank0[run]
+    found = ids[run], dgs[run], begin, begin + (last - first) + length
+    return tuple(np.concatenate([x, y]) for x, y in zip(found, folded, strict=True))
 
 
 def _free(spark: SparkSession) -> None:
