@@ -13,7 +13,9 @@ weights, bounded by ``max_features``, and scoring touches every row in Arrow bat
 
 Words are runs of letters, A-Z folded; the beginnings of longer words are features as well,
 so that inflected and compound forms share evidence.  Null and empty texts have no words and score the
-bias alone.  Without any positive training row every score is 0.
+bias alone.  Without any positive training row every score is 0.  Every row gets its own
+score, so repeated rows get the same; an empty table gives an empty one; a very long text is
+a block of its own.  Other columns pass through; one named ``tox_score`` is replaced.
 """
 
 from __future__ import annotations
