@@ -11,11 +11,11 @@
 3. Pivots and regions.  For each shared element the least set that has it is the pivot; a
    pivot's region is every set that shares such an element with it.  A set near the border
    of several pivots is copied to all of their regions, so two linked sets always meet.
-4. Joining a region.  Distances to the pivot are computed; what is within tau = 1 - t is
-   linked to it and settled.  The others are joined recursively with a pivot of their own,
-   and by the triangle inequality a settled set x comes along only if some unsettled y has
-   |d(x, p) - d(y, p)| <= tau.  A region too large for a task first settles around its pivot
-   in a distributed step; its unsettled sets are then joined with blocks of the rest.
+4. Joining a region.  Distances to the pivot are computed; what is within tau = 1 - t, its
+   ball, is linked to it.  By the triangle inequality a set y outside can link with a set x of
+   the ball only if d(y, p) <= d(x, p) + tau; such pairs are compared, and the ball is finished.
+   The sets outside are joined recursively with a pivot of their own.  A region too large for
+   a task does the same in distributed steps.
 5. The links found (a spanning forest of each region) give the components.
 
 Nothing is sampled or capped.  What is joined are the *different sets*, numbered by the row
@@ -30,11 +30,12 @@ from __future__ import annotations
 
 import gc
 import hashlib
+import math
 import time
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import scan
@@ -137,117 +138,160 @@ def intersections(pivot: np.ndarray, values: np.ndarray, bounds: np.ndarray) ->
     return hit[bounds[1:]] - hit[bounds[:-1]]
 
 
-def join_region(sets: list[np.ndarray], settled: np.ndarray, percent: int = PERCENT) -> list[tuple[int, int]]:
-    """Links that connect exactly what the links among ``sets`` connect, those between two
-    settled sets aside.  Recursion on the unsettled ones, written as a loop."""
-    tau = 1 - percent / 100
-    settled = settled.copy()
-    alive = np.arange(len(sets))
-    links = []
+def join_region(sets: list[np.ndarray], percent: int = PERCENT, home: np.ndarray | None = None, group: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Links that connect exactly what all links between a set of ``home`` (None: every set) and
+    any other connect.  Sets of one ``group`` (below 0: of none) count as connected already.
+
+    Recursion written as a loop: a pivot is linked with the sets of its ball, d <= tau.  These
+    are connected through it, and of the others only those with d <= 2 tau can link with them;
+    once compared, the whole ball is finished and leaves.
+    """
+    n, tau = len(sets), 1 - percent / 100
+    home = np.ones(n, bool) if home is None else home
+    group = np.full(n, -1) if group is None else group
+    part_of = np.arange(n)  # components so far
+    for g in np.unique(group[group >= 0]):
+        part_of[group == g] = np.flatnonzero(group == g)[0]
+    alive, links = np.arange(n), []
+
+    def link(x: int, y: int) -> None:
+        links.append((x, y))
+        part_of[part_of == part_of[y]] = part_of[x]
+
+    def measure(p: int, to: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        bounds = scan.by_document(np.array([len(sets[k]) for k in to]))
+        inter = intersections(sets[p], np.concatenate([sets[k] for k in to]), bounds)
+        union = len(sets[p]) + np.diff(bounds) - inter
+        return (100 * inter >= percent * union) & (inter > 0), 1 - inter / union
+
     while True:
-        open_ = alive[~settled[alive]]
-        if not len(open_):
+        open_ = alive[home[alive]]
+        if not len(open_) or (part_of[alive] == part_of[alive[0]]).all():
             return links
         p = int(open_[0])
-        others = alive[alive != p]
-        settled[p] = True
-        if not len(others):
-            return links
-        bounds = scan.by_document(np.array([len(sets[k]) for k in others]))
-        inter = intersections(sets[p], np.concatenate([sets[k] for k in others]), bounds)
-        union = len(sets[p]) + np.diff(bounds) - inter
-        near = (100 * inter >= percent * union) & (inter > 0)
-        links += [(p, int(k)) for k in others[near]]
-        settled[others[near]] = True
-        left = ~settled[others]
-        if not left.any():
-            return links
-        d = 1 - inter / union
-        window = (d >= d[left].min() - tau - 1e-9) & (d <= d[left].max() + tau + 1e-9)
-        alive = others[left | window]
+        alive = alive[alive != p]
+        met = alive if group[p] < 0 else alive[part_of[alive] != part_of[p]]
+        if not len(met):
+            continue
+        near, d = measure(p, met)
+        for k in met[near]:
+            if part_of[k] != part_of[p]:
+                link(p, int(k))
+        inside = near & home[met]
+        ball, reach = met[inside], d[inside]
+        if not len(ball):
+            continue
+        shell = ~near & (d <= 2 * tau + 1e-9)
+        for y, far in zip(met[shell], d[shell], strict=True):
+            window = ball[reach >= far - tau - 1e-9]
+            if part_of[y] != part_of[p] and len(window):
+                found = window[measure(int(y), window)[0]]
+                if len(found):
+                    link(int(found[0]), int(y))
+        alive = np.setdiff1d(alive, ball, assume_unique=True)
 
 
 def _join_groups(rows: DataFrame, width: int, percent: int) -> DataFrame:
-    """Links of rows (part, id, settled, text), each part joined by itself."""
+    """Links of rows (part, id, home, grp, text), each part joined by itself."""
 
     def join(batches):
-        key, ids, flags, sets = None, [], [], []
+        key, ids, homes, groups, sets = None, [], [], [], []
 
         def close():
-            links = join_region(sets, np.array(flags, bool), percent) if len(sets) > 1 else []
+            links = join_region(sets, percent, np.array(homes, bool), np.array(groups, np.int64)) if len(sets) > 1 else []
             return pa.RecordBatch.from_arrays([pa.array([ids[a] for a, _ in links], pa.int64()), pa.array([ids[b] for _, b in links], pa.int64())], names=["a", "b"])
 
         for batch in batches:
-            parts, own, marks = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()
-            for lo, _, data, starts in scan.blocks(batch.column(3)):
+            parts, own, marks, grps = (batch.column(k).to_pylist() for k in range(4))
+            for lo, _, data, starts in scan.blocks(batch.column(4)):
                 for k, found in enumerate(shingle_sets(data, starts, width), lo):
                     if parts[k] != key:
                         if ids:
                             yield close()
-                        key, ids, flags, sets = parts[k], [], [], []
+                        key, ids, homes, groups, sets = parts[k], [], [], [], []
                     ids.append(own[k])
-                    flags.append(marks[k])
+                    homes.append(marks[k])
+                    groups.append(grps[k])
                     sets.append(found)
         if ids:
             yield close()
 
-    laid = rows.select("part", "id", "settled", "text").repartition("part").sortWithinPartitions("part", "settled", "id")
+    laid = rows.select("part", "id", "home", "grp", "text").repartition("part").sortWithinPartitions("part", "id")
     return laid.mapInArrow(join, "a long, b long")
 
 
 def _distances(rows: DataFrame, width: int) -> DataFrame:
-    """(region, pivot, id, settled, inter, total) of rows (region, pivot, id, settled, text, pivot_text)."""
+    """(region, pivot, id, n, inter, total) of rows (region, pivot, id, text, pivot_text)."""
 
     def measure(batches):
         for batch in batches:
             known: dict = {}
-            first, texts = batch.column(1).to_pylist(), batch.column(5)
+            first, texts = batch.column(1).to_pylist(), batch.column(4)
             for k, p in enumerate(first):
                 if p not in known:
                     raw = np.frombuffer(texts[k].as_py().encode(), np.uint8)
                     known[p] = shingle_sets(raw, np.array([0, len(raw)]), width)[0]
-            inter, total = [], []
-            for lo, _, data, starts in scan.blocks(batch.column(4)):
+            sizes, inter, total = [], [], []
+            for lo, _, data, starts in scan.blocks(batch.column(3)):
                 for k, s in enumerate(shingle_sets(data, starts, width), lo):
                     same = int(intersections(known[first[k]], s, np.array([0, len(s)]))[0])
+                    sizes.append(len(s))
                     inter.append(same)
                     total.append(len(s) + len(known[first[k]]) - same)
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(4)), pa.array(inter, pa.int64()), pa.array(total, pa.int64())], names=["region", "pivot", "id", "settled", "inter", "total"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(3)), *(pa.array(x, pa.int64()) for x in (sizes, inter, total))], names=["region", "pivot", "id", "n", "inter", "total"])
+
+    return rows.select("region", "pivot", "id", "text", "pivot_text").mapInArrow(measure, "region long, pivot long, id long, n long, inter long, total long")
+
 
-    return rows.select("region", "pivot", "id", "settled", "text", "pivot_text").mapInArrow(measure, "region long, pivot long, id long, settled boolean, inter long, total long")
+def _plain(part: Column, home: Column | bool = True) -> list[Column]:
+    return [part.alias("part"), F.col("id"), (F.lit(home) if isinstance(home, bool) else home).alias("home"), F.lit(-1).cast("long").alias("grp")]
 
 
 def _settle_large(large: DataFrame, texts: DataFrame, folder: str, width: int, percent: int, limit: int, max_levels: int) -> tuple[list[DataFrame], list[DataFrame]]:
     """(links, parts to join) of regions (pivot, id) with more than ``limit`` sets.
 
-    Each level settles every large region around its pivot.  When no more than ``limit``
-    sets of a region are unsettled they go along with each block of the others; while there
-    are more, their least is the next pivot.  After ``max_levels`` all pairs of blocks of
-    such a region are joined, which is exact whatever its shape.
+    :func:`join_region` in distributed steps: each level links every large region's least set
+    with its ball, compares the ball with the shell around it in blocks, and goes on with what
+    is outside the ball, in one part once that is small.  After ``max_levels`` the rest is cut
+    by size (linked sets differ by no more than the threshold's factor, so a set meets its own
+    band of sizes and the next) and the bands are joined by pairs of blocks, which is exact
+    whatever their shape.
     """
     tau = 1 - percent / 100
     links, parts = [], []
-    now = large.select(F.col("pivot").alias("region"), "pivot", "id", F.lit(False).alias("settled"))
-    for level in range(max_levels):
-        centre = now.select("pivot").distinct().join(texts.withColumnRenamed("id", "pivot"), "pivot").withColumnRenamed("text", "pivot_text")
-        measured = _distances(now.join(texts, "id").join(centre, "pivot"), width)
-        measured = measured.withColumns({"near": F.expr(f"100 * inter >= {percent} * total"), "d": 1 - F.col("inter") / F.col("total")})
-        done = materialise(measured.withColumn("fixed", F.col("settled") | F.col("near")), f"{folder}/level{level}")
-        links.append(done.filter("near AND pivot <> id").select(F.col("pivot").alias("a"), F.col("id").alias("b")))
-        rest = done.groupBy("region").agg(F.min(F.when(~F.col("fixed"), F.col("d"))).alias("lo"), F.max(F.when(~F.col("fixed"), F.col("d"))).alias("hi"), F.min(F.when(~F.col("fixed"), F.col("id"))).alias("next"), F.sum(F.when(~F.col("fixed"), 1)).alias("open")).filter("open > 0")
-        kept = materialise(done.join(rest, "region").filter(~F.col("fixed") | F.expr(f"d BETWEEN lo - {tau + 1e-9} AND hi + {tau + 1e-9}")).select("region", "id", F.col("fixed").alias("settled"), "next", "open"), f"{folder}/kept{level}")
-        small = kept.filter(F.col("open") <= limit)
-        blocks = small.filter("settled").groupBy("region").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / limit)).cast("int").alias("blocks"))
-        cut = small.join(blocks, "region", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
-        copies = F.when(F.col("settled"), F.array(F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))).otherwise(F.sequence(F.lit(0), F.col("blocks") - 1))
-        parts.append(cut.select("region", F.explode(copies).alias("block"), "id", "settled").select(F.concat_ws(":", "region", F.lit(level), "block").alias("part"), "id", "settled"))
-        now = kept.filter(F.col("open") > limit).select("region", F.col("next").alias("pivot"), "id", "settled")
+    now = large.select(F.col("pivot").alias("region"), "id")
+    for level in range(max(1, max_levels)):
+        least = now.groupBy("region").agg(F.min("id").alias("pivot"))
+        centre = least.join(texts.withColumnRenamed("id", "pivot"), "pivot").withColumnRenamed("text", "pivot_text")
+        measured = _distances(now.join(texts, "id").join(centre, "region").filter("id <> pivot"), width)
+        measured = measured.withColumns({"near": F.expr(f"inter > 0 AND 100 * inter >= {percent} * total"), "d": 1 - F.col("inter") / F.col("total")})
+        done = materialise(measured.withColumn("shell", ~F.col("near") & (F.col("d") <= 2 * tau + 1e-9)), f"{folder}/level{level}")
+        links.append(done.filter("near").select(F.col("pivot").alias("a"), F.col("id").alias("b")))
+
+        blocks_of = lambda c: F.ceil(F.sum(F.when(F.col(c), 1)) / limit).cast("int")
+        met = done.groupBy("region").agg(F.min(F.when(F.col("shell"), F.col("d"))).alias("lo"), blocks_of("near").alias("balls"), blocks_of("shell").alias("shells")).filter("balls > 0 AND shells > 0")
+        sides = []
+        for inside, mine, others in ((True, "balls", "shells"), (False, "shells", "balls")):
+            side = done.filter(F.col("near") if inside else F.col("shell")).join(met, "region").filter((F.col("d") >= F.col("lo") - tau - 1e-9) | F.lit(not inside))
+            side = side.withColumn("own", F.pmod(F.xxhash64("id"), F.col(mine)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col(others) - 1)))
+            place = ("own", "other") if inside else ("other", "own")
+            sides.append(side.select(F.concat_ws(":", "region", F.lit(level), *place).alias("part"), "id", F.lit(inside).alias("home"), (F.col("pivot") if inside else F.lit(-1).cast("long")).alias("grp")))
+        parts.append(sides[0].unionByName(sides[1]))
+
+        rest = done.filter("NOT near").select("region", "id", "n")
+        sizes = rest.groupBy("region").agg((F.count("*") > limit).alias("large"))
+        rest = materialise(rest.join(sizes, "region"), f"{folder}/rest{level}")
+        parts.append(rest.filter("NOT large").select(*_plain(F.concat_ws(":", "region", F.lit(level)))))
+        now = rest.filter("large").select("region", "id", "n")
         if now.isEmpty():
             return links, parts
-    sizes = now.groupBy("region").agg(F.ceil(F.count("*") * 2 / limit).cast("int").alias("blocks"))
-    cut = now.join(sizes, "region").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-    pairs = cut.select("region", "id", "settled", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    parts.append(pairs.select(F.concat_ws(":", "region", F.lit("pair"), F.least("own", "other"), F.greatest("own", "other")).alias("part"), "id", "settled"))
+    step = math.log(100 / percent) + 1e-9
+    band = F.floor(F.log(F.col("n").cast("double")) / step)
+    banded = now.select("region", "id", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("b")).select("region", "id", "b.*")
+    sizes = banded.groupBy("region", "band").agg(F.ceil(F.count("*") * 2 / limit).cast("int").alias("blocks"), F.bool_or("home").alias("any")).filter("any")
+    cut = banded.join(sizes, ["region", "band"]).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    pairs = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    parts.append(pairs.select(*_plain(F.concat_ws(":", "region", F.lit("pair"), "band", F.least("own", "other"), F.greatest("own", "other")), F.col("home"))))
     return links, parts
 
 
@@ -292,7 +336,7 @@ def _numbered(docs: DataFrame, id_col: str, text_col: str, width: int, percent:
     same = F.col("id").eqNullSafe(F.col("w_id")) & (F.col("t1") == F.col("w1")) & (F.col("t2") == F.col("w2"))
     texts = materialise(rows.join(wanted.hint("merge"), same).dropDuplicates(["node"]).select(F.col("node").alias("id"), "text"), f"{folder}/texts")
     _free(spark)
-    parts = [few.select(F.col("pivot").cast("string").alias("part"), "id", F.lit(False).alias("settled"))]
+    parts = [few.select(*_plain(F.col("pivot").cast("string")))]
     links = []
     if has_large:
         more_links, more_parts = _settle_large(regions.join(over, "pivot", "left_semi"), texts, folder, width, percent, region_sets, max_levels)

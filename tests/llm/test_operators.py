@@ -330,6 +330,34 @@ def test_jaccard_components_of_a_hot_group(spark, region_sets, max_levels):
     assert got == components_by_hand(texts_of(df))
 
 
+@pytest.mark.parametrize("region_sets,max_levels", [(2000, 4), (12, 3), (5, 1)])
+def test_jaccard_components_of_chains(spark, region_sets, max_levels):
+    """Windows sliding over long texts: neighbours link, ends only through those between, and
+    the members that connect two pivots' balls are neither's pivot."""
+    rng = np.random.default_rng(11)
+    rows = [(100 + 200 * c + i, " ".join(["same", "head", "of", "all"] + [f"c{c}x{k}" for k in range(off, off + int(rng.integers(100, 130)))])) for c in range(3) for i, off in enumerate(rng.integers(0, 260, 25).tolist())]
+    rows = [(int(i), t) for i, t in zip(rng.permutation(len(rows)), [t for _, t in rows], strict=True)]
+    df = table(spark, rows)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(df, width=4, percent=80, region_sets=region_sets, max_levels=max_levels).collect()}
+    assert got == components_by_hand(texts_of(df), 80, 4)
+
+
+def test_region_join_of_chains_and_homes():
+    rng = np.random.default_rng(5)
+    for trial in range(60):
+        sets = [np.arange(o, o + 100, dtype=np.uint64) for o in rng.integers(0, 150, 14)]
+        home = np.ones(14, bool) if trial % 2 else rng.random(14) < 0.5
+        every = [(a, b) for a in range(14) for b in range(a) if (home[a] or home[b]) and 100 * len(np.intersect1d(sets[a], sets[b])) >= 80 * len(np.union1d(sets[a], sets[b]))]
+        links = jaccard_join.join_region(sets, 80, home)
+        reach = []
+        for pairs in (links, every):
+            up = np.arange(14)
+            for a, b in pairs:
+                up[up == up[b]] = up[a]
+            reach.append(up[:, None] == up[None, :])
+        assert (reach[0] == reach[1]).all()
+
+
 def test_jaccard_components_of_documents(spark, docs):
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(docs, width=4, percent=85).collect()}
     assert got == components_by_hand(texts_of(docs))
@@ -343,7 +371,7 @@ def test_region_join_finds_every_link():
     rng = np.random.default_rng(4)
     base = np.unique(rng.integers(0, 1 << 40, 60).astype(np.uint64))
     sets = [np.unique(np.concatenate([np.delete(base, rng.integers(0, len(base), int(rng.integers(0, 6)))), rng.integers(0, 1 << 40, int(rng.integers(0, 5))).astype(np.uint64)])) for _ in range(60)]
-    links = jaccard_join.join_region(sets, np.zeros(60, bool), 85)
+    links = jaccard_join.join_region(sets, 85)
 
     def classes(pairs):
         up = list(range(60))
